@@ -1 +1 @@
-"""Part of the library; see the README."""
+"""Plain functions: expressions, counting, expression classes, and the graph stage of the learners."""
