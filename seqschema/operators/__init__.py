@@ -1 +1 @@
-"""Part of the library; see the README."""
+"""Spark operators: summaries of strings, learners, validation, measures."""
