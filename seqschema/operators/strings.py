@@ -13,6 +13,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from seqschema.functions.solver import SINK, SOURCE
+from seqschema.operators.stored import stored
 
 #: Tags of facts: totals, symbols, pairs (a somewhere before b), edges (b directly after a), strings by length.
 TOTAL, SYMBOL, PAIR, EDGE, LENGTH = "T", "S", "P", "E", "L"
@@ -118,7 +119,7 @@ def _edges(seq: Column) -> Column:
     return F.zip_with(F.concat(F.array(F.lit(SOURCE)), seq), F.concat(seq, F.array(F.lit(SINK))), lambda a, b: F.struct(a.alias("a"), b.alias("b")))
 
 
-def components(symbols: DataFrame, pairs: DataFrame, written) -> DataFrame:
+def components(symbols: DataFrame, pairs: DataFrame, written=lambda df: stored(df, "components")) -> DataFrame:
     """(model_key, sym, comp): the least symbol of each component of the conflict graph, by rounds of taking the least
     label of the neighbours. For alphabets too large for the per-model solver. written(df) stores a round's table."""
     now = written(symbols.withColumn("comp", F.col("sym")))
@@ -142,6 +143,7 @@ def contract(edges: DataFrame, comp: DataFrame) -> DataFrame:
 def levels(edges: DataFrame, most: int = 100) -> DataFrame:
     """(model_key, node, level, skip): longest path from the source by a recursive query, and skipped levels."""
     spark = edges.sparkSession
+    edges = stored(edges, "edges")
     edges.createOrReplaceTempView("_edges")
     found = spark.sql(f"""
         WITH RECURSIVE walk(model_key, node, level) AS (

@@ -1,9 +1,358 @@
-"""Named queries over the given tables and their SQL counterparts."""
+"""Named queries over the given tables and independent SQL for those that SQL can express."""
+
+from __future__ import annotations
+
+import tempfile
+import uuid
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from seqschema.functions import registry
+from seqschema.operators import learners as ln
+from seqschema.operators import strings as st
+from seqschema.operators import validate as va
+from seqschema.sources import markup, planted, schemas
+from seqschema.sources.tables import WORKLOADS, chunks_from_rows, table
+from seqschema.streaming import incremental
+
+SAMPLE = ("aabcde", "acdcfe", "dbbcfe", "adbcef")
+
+#: SQL for (k, sid, pos, sym), written for the SQL engine and not derived from the DataFrame code.
+_LINE_ORDER = "l_linenumber, l_partkey, l_suppkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate"
+ROWS_SQL = {
+    "roles": "SELECT conv_id AS sid, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role) AS pos, role AS sym FROM conversations",
+    "userday": "SELECT user_id || ':' || strftime(ts, '%Y-%m-%d') AS sid, row_number() OVER (PARTITION BY user_id, CAST(ts AS DATE) ORDER BY ts, event_id) AS pos, event_type AS sym FROM events",
+    "session": """SELECT sid, row_number() OVER (PARTITION BY sid ORDER BY ts, event_id) AS pos, event_type AS sym FROM (
+        SELECT *, user_id || ':' || CAST(sum(CASE WHEN gap >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) AS sid
+        FROM (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS gap FROM events))""",
+    "events": "SELECT user_id AS sid, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos, event_type AS sym FROM events",
+    "flags": f"SELECT l_orderkey AS sid, row_number() OVER (PARTITION BY l_orderkey ORDER BY {_LINE_ORDER}) AS pos, l_returnflag || l_linestatus AS sym FROM lineitem",
+    "sorted_flags": "SELECT l_orderkey AS sid, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_returnflag, l_linenumber, l_linestatus) AS pos, l_returnflag || l_linestatus AS sym FROM lineitem",
+    "status": "SELECT o_custkey AS sid, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos, o_orderstatus AS sym FROM orders",
+    "priority": "SELECT o_custkey AS sid, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos, o_orderpriority AS sym FROM orders",
+    "line_kind": r"""SELECT doc_id AS sid, pos, CASE WHEN regexp_matches(line, '^[ \t]*$') THEN 'blank' WHEN regexp_matches(line, '[Ll]icense|CC BY') THEN 'license'
+        WHEN regexp_matches(line, '[A-Za-z0-9._]+@[A-Za-z0-9]') THEN 'email' WHEN regexp_matches(line, '^[^.!?]*$') THEN 'open' WHEN length(line) <= 60 THEN 'short' ELSE 'prose' END AS sym
+        FROM (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS line, generate_subscripts(string_split(coalesce(text, ''), chr(10)), 1) AS pos FROM documents)""",
+    "record_field": """SELECT sid, pos, sym FROM (
+        SELECT d.doc_id AS sid, unnest([1, 2, 3, 4, 5]) AS pos, unnest([CASE WHEN lang IS NOT NULL THEN 'lang' END, CASE WHEN source IS NOT NULL THEN 'source' END, CASE WHEN text IS NOT NULL THEN 'text' END,
+          CASE WHEN quality IS NOT NULL THEN 'quality' END, CASE WHEN toxic IS NOT NULL THEN 'toxic' END]) AS sym FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id) WHERE sym IS NOT NULL""",
+    "bucket_label": "SELECT vec_id // 8 AS sid, row_number() OVER (PARTITION BY vec_id // 8 ORDER BY vec_id) AS pos, CAST(label AS VARCHAR) AS sym FROM embeddings",
+}
+
+_STRS = "t AS ({rows}), s AS (SELECT sid, string_agg(sym, ' ' ORDER BY pos) AS seq, count(*) AS len FROM t GROUP BY sid), c AS (SELECT sid, sym, count(*) AS cnt FROM t GROUP BY sid, sym), p AS (SELECT x.sym AS a, y.sym AS b, count(DISTINCT x.sid) AS n_strings FROM t x JOIN t y ON x.sid = y.sid AND x.pos < y.pos AND x.sym <> y.sym GROUP BY 1, 2)"
+_OPS = "m AS (SELECT sym, CASE WHEN count(DISTINCT seq) < (SELECT count(DISTINCT seq) FROM s) THEN CASE WHEN max(cnt) > 1 THEN '*' ELSE '?' END ELSE CASE WHEN max(cnt) > 1 THEN '+' ELSE '' END END AS mark FROM c JOIN s USING (sid) GROUP BY sym), named AS (SELECT sym, CASE WHEN contains(sym, ' ') THEN '''' || sym || '''' ELSE sym END || mark AS item FROM m)"
+_COMP = "near AS (SELECT a, b FROM p WHERE EXISTS (SELECT 1 FROM p q WHERE q.a = p.b AND q.b = p.a)), reach(sym, other) AS (SELECT DISTINCT sym, sym FROM c UNION SELECT r.sym, n.b FROM reach r JOIN near n ON n.a = r.other), comp AS (SELECT sym, min(other) AS comp FROM reach GROUP BY sym)"
+_EDGES = "e AS (SELECT coalesce(lag(sym) OVER w, '⊢') AS src, sym AS dst FROM t WINDOW w AS (PARTITION BY sid ORDER BY pos) UNION ALL SELECT sym, '⊣' FROM (SELECT sym, row_number() OVER (PARTITION BY sid ORDER BY pos DESC) AS r FROM t) WHERE r = 1)"
+_QUOT = "q AS (SELECT DISTINCT coalesce(x.comp, src) AS src, coalesce(y.comp, dst) AS dst FROM e LEFT JOIN comp x ON x.sym = src LEFT JOIN comp y ON y.sym = dst WHERE coalesce(x.comp, src) <> coalesce(y.comp, dst)), walk(node, level) AS (SELECT '⊢', 0 UNION SELECT q.dst, w.level + 1 FROM walk w JOIN q ON q.src = w.node), lv AS (SELECT node, max(level) AS level FROM walk GROUP BY node)"
+
+TEMPLATES = {
+    "strings": "WITH {strs} SELECT sid AS string_id, seq FROM s",
+    "distinct": "WITH {strs} SELECT seq, count(*) AS n FROM s GROUP BY seq",
+    "length_hist": "WITH {strs} SELECT len, count(DISTINCT seq) AS n_distinct, count(*) AS n_strings FROM s GROUP BY len",
+    "alphabet": "WITH {strs} SELECT DISTINCT sym FROM t",
+    "multiplicity": """WITH {strs} SELECT sym, present, CASE WHEN present < d THEN 0 ELSE low END AS min_cnt, high AS max_cnt,
+        CASE WHEN present < d THEN CASE WHEN high > 1 THEN '*' ELSE '?' END ELSE CASE WHEN high > 1 THEN '+' ELSE '1' END END AS op
+        FROM (SELECT sym, count(DISTINCT seq) AS present, min(cnt) AS low, max(cnt) AS high, (SELECT count(DISTINCT seq) FROM s) AS d FROM c JOIN s USING (sid) GROUP BY sym)""",
+    "order_pairs": "WITH {strs} SELECT a, b, n_strings FROM p",
+    "order_masks": "WITH {strs}, ids AS (SELECT sym, row_number() OVER (ORDER BY sym) - 1 AS id FROM (SELECT DISTINCT sym FROM t)) SELECT a, CAST(sum(CAST(pow(2, id) AS BIGINT)) AS BIGINT) AS mask FROM p JOIN ids ON ids.sym = b GROUP BY a",
+    "conflicts": "WITH {strs} SELECT a, b FROM p WHERE EXISTS (SELECT 1 FROM p q WHERE q.a = p.b AND q.b = p.a)",
+    "one_way": "WITH {strs} SELECT a, b FROM p WHERE NOT EXISTS (SELECT 1 FROM p q WHERE q.a = p.b AND q.b = p.a)",
+    "cooccurrence": "WITH {strs} SELECT x.sym AS a, y.sym AS b, count(*) AS n FROM c x JOIN c y ON x.sid = y.sid AND x.sym < y.sym GROUP BY 1, 2",
+    "never_together": "WITH {strs} SELECT x.sym AS a, y.sym AS b FROM (SELECT DISTINCT sym FROM t) x, (SELECT DISTINCT sym FROM t) y WHERE x.sym < y.sym AND NOT EXISTS (SELECT 1 FROM c i JOIN c j ON i.sid = j.sid WHERE i.sym = x.sym AND j.sym = y.sym)",
+    "components": "WITH RECURSIVE {strs}, {comp} SELECT sym, comp FROM comp",
+    "automaton": "WITH {strs}, {edges} SELECT src, dst, count(*) AS n FROM e GROUP BY 1, 2",
+    "contracted": "WITH RECURSIVE {strs}, {comp}, {edges}, {quot} SELECT src, dst FROM q",
+    "levels": """WITH RECURSIVE {strs}, {comp}, {edges}, {quot} SELECT node, level, EXISTS (SELECT 1 FROM q JOIN lv x ON x.node = q.src JOIN lv y ON y.node = q.dst WHERE x.level < lv.level AND lv.level < y.level) AS skip FROM lv""",
+    "model": """WITH RECURSIVE {strs}, {ops}, {comp}, {edges}, {quot}, g AS (SELECT comp, level, string_agg(item, ' & ' ORDER BY named.sym) AS body, count(*) AS n FROM comp JOIN named ON named.sym = comp.sym JOIN lv ON lv.node = comp.comp GROUP BY comp, level)
+        SELECT string_agg(CASE WHEN n > 1 AND (SELECT count(*) FROM g) > 1 THEN '(' || body || ')' ELSE body END, ' ' ORDER BY level, comp) AS expr, CAST(sum(n) AS BIGINT) AS n_symbols, count(*) AS n_groups FROM g""",
+    "all_shuffle": "WITH {strs}, {ops} SELECT string_agg(item, ' & ' ORDER BY sym) AS expr, count(*) AS n_symbols FROM named",
+    "universal": "WITH {strs}, {ops} SELECT CASE WHEN count(*) > 1 THEN '(' || string_agg(CASE WHEN contains(sym, ' ') THEN '''' || sym || '''' ELSE sym END, ' | ' ORDER BY sym) || ')*' ELSE min(sym) || '*' END AS expr, count(*) AS n_symbols FROM named",
+    "universal_size": "WITH {strs}, k AS (SELECT count(DISTINCT sym) AS k FROM t) SELECT CAST(i AS BIGINT) AS len, CAST(pow(k, i) AS DOUBLE) AS words FROM k, range(0, 2 * CAST(k AS BIGINT) + 2) r(i)",
+    "coverage": "WITH {strs} SELECT CAST(1.0 AS DOUBLE) AS coverage, count(*) AS n_strings FROM s",
+}
+
+
+def _sql(family: str, workload: str) -> str:
+    parts = {"strs": _STRS.format(rows=ROWS_SQL[workload]), "ops": _OPS, "comp": _COMP, "edges": _EDGES, "quot": _QUOT}
+    return TEMPLATES[family].format(**parts)
+
+
+def _text(df: DataFrame) -> DataFrame:
+    return df.withColumn("seq", F.array_join("seq", " "))
+
+
+def _contracted(s: DataFrame) -> DataFrame:
+    d = st.distinct_strings(s)
+    return st.contract(st.symbol_automaton(d), _comp(d))
+
+
+def _comp(d: DataFrame) -> DataFrame:
+    """Components of the conflict graph by a recursive query."""
+    st.conflicts(st.order_pairs(d)).createOrReplaceTempView("_near")
+    st.alphabet(d).createOrReplaceTempView("_alphabet")
+    return d.sparkSession.sql("""
+        WITH RECURSIVE reach(model_key, sym, other, depth) AS (
+          SELECT model_key, sym, sym, 0 FROM _alphabet
+          UNION ALL SELECT DISTINCT r.model_key, r.sym, n.b, r.depth + 1 FROM reach r JOIN _near n ON n.model_key = r.model_key AND n.a = r.other WHERE r.depth < (SELECT count(*) FROM _alphabet) AND r.depth < 20)
+        SELECT model_key, sym, min(other) AS comp FROM reach GROUP BY model_key, sym""")
+
+
+FAMILIES = {
+    "strings": lambda s: _text(s).select("string_id", "seq"),
+    "distinct": lambda s: _text(st.distinct_strings(s)).select("seq", "n"),
+    "length_hist": lambda s: st.length_hist(st.distinct_strings(s)).select("len", "n_distinct", "n_strings"),
+    "alphabet": lambda s: st.alphabet(s).select("sym"),
+    "multiplicity": lambda s: st.multiplicities(st.distinct_strings(s)).drop("model_key"),
+    "order_pairs": lambda s: st.order_pairs(st.distinct_strings(s)).drop("model_key"),
+    "order_masks": lambda s: st.order_masks(st.distinct_strings(s)).select("a", "mask"),
+    "conflicts": lambda s: st.conflicts(st.order_pairs(st.distinct_strings(s))).drop("model_key"),
+    "one_way": lambda s: st.one_way(st.order_pairs(st.distinct_strings(s))).drop("model_key"),
+    "cooccurrence": lambda s: st.cooccurrence(st.distinct_strings(s)).drop("model_key"),
+    "never_together": lambda s: st.never_together(st.distinct_strings(s)).drop("model_key"),
+    "components": lambda s: _comp(st.distinct_strings(s)).drop("model_key"),
+    "automaton": lambda s: st.symbol_automaton(st.distinct_strings(s)).drop("model_key"),
+    "contracted": lambda s: _contracted(s).drop("model_key"),
+    "levels": lambda s: st.levels(_contracted(s)).drop("model_key"),
+    "model": lambda s: ln.infer_level_chain(s).select("expr", "n_symbols", "n_groups"),
+    "all_shuffle": lambda s: ln.infer_all_shuffle(s).select("expr", "n_symbols"),
+    "universal": lambda s: ln.infer_universal(s).select("expr", "n_symbols"),
+    "universal_size": lambda s: _sizes(ln.infer_universal(s)),
+    "coverage": lambda s: va.coverage(s, ln.infer_level_chain(s)).drop("model_key"),
+}
+
+
+def _sizes(models: DataFrame) -> DataFrame:
+    registry.register(models.sparkSession)
+    models.select("expr").createOrReplaceTempView("_models")
+    return models.sparkSession.sql("SELECT CAST(w.len AS BIGINT) AS len, w.words FROM _models, LATERAL word_counts(expr) w")
+
+
+#: Which family runs on which workloads.
+PLAN = {
+    "strings": list(WORKLOADS), "distinct": ["flags", "status", "line_kind"], "length_hist": ["flags", "events", "session"], "alphabet": ["roles", "flags", "userday", "priority", "line_kind"],
+    "multiplicity": ["roles", "flags", "events", "priority", "line_kind", "record_field"], "order_pairs": ["roles", "flags", "events", "sorted_flags", "line_kind", "bucket_label"], "order_masks": ["flags", "status"],
+    "conflicts": ["roles", "sorted_flags", "line_kind"], "one_way": ["roles", "sorted_flags", "line_kind", "record_field"], "cooccurrence": ["flags", "record_field"], "never_together": ["flags", "line_kind"],
+    "components": ["roles", "sorted_flags", "line_kind"], "automaton": ["roles", "events", "sorted_flags", "line_kind"], "contracted": ["roles", "sorted_flags"], "levels": ["roles", "sorted_flags"],
+    "model": ["roles", "userday", "session", "flags", "sorted_flags", "status", "priority", "record_field"], "all_shuffle": ["roles", "flags", "sorted_flags", "status", "line_kind", "bucket_label"],
+    "universal": ["roles", "flags", "priority"], "universal_size": ["flags", "status"], "coverage": ["roles", "flags", "line_kind"],
+}
+
+
+def _sample(spark) -> DataFrame:
+    return spark.createDataFrame([("example", i, list(s)) for i, s in enumerate(SAMPLE)], "model_key string, string_id int, seq array<string>")
+
+
+def model_example(spark, sf):
+    return ln.learn(st.summarise(_sample(spark)), {"level_chain": {}, "outer_shuffle": {"mis": "exact"}, "disjunctive_bag": {}, "all_shuffle": {}}).select("learner", "expr")
+
+
+def measures_example(spark, sf):
+    texts = {"bag": "a* & b* & c+ & d & e & f?", "outer": "a* d e & b* c+ f?", "level": "a* (b* c+ & d) (e & f?)"}
+    models = spark.createDataFrame([("example", k, v) for k, v in texts.items()], "model_key string, learner string, expr string")
+    got = ln.measure(models, st.summarise(_sample(spark)))
+    return got.select("learner", F.format_string("%.3e", F.col("ls").cast("double")).alias("ls"), F.round("data_cost", 4).alias("data_cost"), F.col("shuffle_count").cast("bigint").alias("shuffle_count"))
+
+
+def shape_measures(spark, sf):
+    rows = [(f"{n}_{kind}", t) for kind, own in (("level", planted.SHAPES), ("outer", planted.OUTER), ("bag", planted.BAGS)) for n, t in own.items()]
+    df = spark.createDataFrame(rows, "shape string, expr string")
+    registry.register(spark)
+    return df.select("shape", F.expr("CAST(shuffle_count(expr) AS BIGINT)").alias("shuffles"), F.expr("round(language_size(expr), 2)").alias("log2_size"))
+
+
+def class_examples(spark, sf):
+    texts = ["a & b* c & d e?", "a? (b c? & d+ e) f*", "(a* | b?) & c", "(a | b)+ c?", "a b a"]
+    df = spark.createDataFrame([(t,) for t in texts], "expr string")
+    return registry.with_flags(df)
+
+
+def usage(spark, sf):
+    return registry.usage_proportions(planted.corpus_from_parts(table(spark, sf, "part")).drop("family"))
+
+
+def usage_by_source(spark, sf):
+    return registry.usage_proportions(planted.corpus_from_parts(table(spark, sf, "part")).drop("family"), ("source",)).select("source", "n", "level_chain", "outer_shuffle")
+
+
+def planted_draws(spark, sf):
+    keys = table(spark, sf, "orders").select(F.col("o_orderkey").cast("bigint").alias("key"), F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(3).cast("bigint"))).alias("p"))
+    return keys.select("key", "p", planted.draw_column(F.col("key"), F.col("p")).alias("x"))
+
+
+def _planted(spark, sf) -> DataFrame:
+    return planted.planted_strings(table(spark, sf, "orders").select("o_orderkey").distinct(), "o_orderkey")
+
+
+def planted_strings(spark, sf):
+    return _text(_planted(spark, sf)).select("model_key", "string_id", "seq")
+
+
+def recovered_planted(spark, sf):
+    truth = spark.createDataFrame(list(planted.SHAPES.items()), "model_key string, planted string")
+    found = ln.infer_level_chain(_planted(spark, sf)).join(F.broadcast(truth), "model_key")
+    return found.select("model_key", registry.recovered_udf()("expr", "planted").alias("recovered"))
+
+
+def compare_planted(spark, sf):
+    got = ln.compare_learners(_planted(spark, sf))
+    return got.select("model_key", "learner", "expr", F.round("ls_log2", 6).alias("ls_log2"), F.round("data_cost", 3).alias("data_cost"), F.col("shuffle_count").cast("double").alias("shuffle_count"), "rank")
+
+
+def sample_size_curve(spark, sf):
+    """Level-chain size of growing shares of a planted corpus."""
+    s, out = _planted(spark, sf).where("model_key = 'thesis'"), None
+    for percent in (1, 5, 20, 50, 100):
+        part = s.where(F.pmod("string_id", F.lit(100)) < percent).withColumn("model_key", F.lit(f"{percent:03d}"))
+        out = part if out is None else out.unionByName(part)
+    return ln.learn(st.summarise(out)).select(F.col("model_key").alias("percent"), "n_strings", "expr")
+
+
+def holdout_curve(spark, sf):
+    s, out = WORKLOADS["flags"](spark, sf), None
+    for percent in (1, 10, 50):
+        row = va.holdout(s, percent).select("percent", "coverage")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def compare(workload: str):
+    def run(spark, sf):
+        got = ln.compare_learners(WORKLOADS[workload](spark, sf))
+        return got.select("learner", "expr", F.round("ls_log2", 6).alias("ls_log2"), F.round("data_cost", 3).alias("data_cost"), F.col("shuffle_count").cast("double").alias("shuffle_count"), "rank")
+
+    return run
+
+
+def by_learner(name: str, workload: str, **options):
+    return lambda spark, sf: ln.learn(st.summarise(WORKLOADS[workload](spark, sf)), {name: options}).select("expr", "n_symbols", "n_groups")
+
+
+def tag_strings(implied_end: bool):
+    def run(spark, sf):
+        s = markup.strings_from_markup(table(spark, sf, "pages").select("html"), "html", "html", implied_end)
+        return _text(st.distinct_strings(s)).select(F.col("model_key").alias("tag"), "seq", "n")
+
+    return run
+
+
+def model_tags(spark, sf):
+    s = markup.strings_from_markup(table(spark, sf, "pages").select("html"), "html", "html", True)
+    return ln.infer_level_chain(s).select("model_key", "expr")
+
+
+def published_xml_strings(spark, sf):
+    return _text(st.distinct_strings(markup.strings_from_markup(markup.published_xml(spark, sf), "xml"))).select(F.col("model_key").alias("element"), "seq", "n")
+
+
+def model_published_xml(spark, sf):
+    return ln.infer_level_chain(markup.strings_from_markup(markup.published_xml(spark, sf), "xml")).select("model_key", "expr")
+
+
+def relaxng_text(spark, sf):
+    return schemas.to_relaxng(ln.infer_level_chain(markup.strings_from_markup(table(spark, sf, "pages").select("html"), "html", "html", True)))
+
+
+def relaxng_round_trip(spark, sf):
+    """Models that differ after writing and reading the XML form: none."""
+    models = ln.infer_level_chain(markup.strings_from_markup(table(spark, sf, "pages").select("html"), "html", "html", True)).select("model_key", "expr")
+    back = schemas.read_content_models(schemas.to_relaxng(models, "xml").withColumnRenamed("model_key", "source"))
+    met = models.join(back.where("source = element").select(F.col("element").alias("model_key"), F.col("expr").alias("again")), "model_key", "left")
+    return met.agg(F.sum(F.when(F.col("expr").eqNullSafe(F.col("again")) | (F.col("n") == 0 if "n" in met.columns else F.lit(False)), 0).otherwise(1)).cast("bigint").alias("differing"))
+
+
+def _differing(a: DataFrame, b: DataFrame) -> DataFrame:
+    return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count("*").alias("differing"))
+
+
+def merge_equals_batch(spark, sf):
+    s = st.distinct_strings(WORKLOADS["flags"](spark, sf)).withColumn("half", F.pmod(F.hash("seq"), F.lit(2))).withColumn("string_id", F.lit(0))
+    halves = [st.summarise(s.where(F.col("half") == k).select("model_key", "string_id", "seq")) for k in (0, 1)]
+    return _differing(st.merge_summaries(*halves), st.summarise(s.select("model_key", "string_id", "seq")))
+
+
+def chunked_equals_whole(spark, sf):
+    t = table(spark, sf, "events").selectExpr("user_id", "event_type", "row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS pos")
+    chunks = chunks_from_rows(t, F.lit("user"), F.col("user_id"), F.col("pos"), F.col("event_type"), size=7)
+    whole = st.summarise(WORKLOADS["events"](spark, sf), need_distinct=False)
+    return _differing(st.summarise_chunks(chunks), whole.select("model_key", "kind", "a", "b", "n", "w", "hi"))
+
+
+def stream_equals_batch(spark, sf):
+    """Order strings written in three files, streamed one file at a time, against one batch."""
+    top = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.gettempdir()}/stream-{uuid.uuid4().hex}"
+    s = WORKLOADS["status"](spark, sf)
+    s.repartition(3, "string_id").write.parquet(f"{top}/in")
+    stream = spark.readStream.schema(s.schema).option("maxFilesPerTrigger", 1).parquet(f"{top}/in")
+    incremental.infer_stream(stream, f"{top}/out", f"{top}/check").awaitTermination()
+    return _differing(incremental.latest(spark, f"{top}/out").select("model_key", "expr"), ln.learn(st.summarise(s, need_distinct=False)).select("model_key", "expr"))
+
+
+def windowed(length: str, slide: str | None):
+    return lambda spark, sf: ln.infer_all_shuffle(incremental.windowed_strings(table(spark, sf, "events"), length, slide)).select("model_key", "n_symbols", "n_strings")
+
+
+def validate_roles(spark, sf):
+    s = WORKLOADS["roles"](spark, sf)
+    model = ln.learn(st.summarise(s.where("string_id % 2 = 0")))
+    return va.validate(s, model).select("string_id", "ok")
+
+
+def infer_by_sampling(spark, sf):
+    return ln.learn_by_sampling(WORKLOADS["sorted_flags"](spark, sf), 5, va.validate).select("expr")
+
+
+def noisy(spark, sf):
+    """A conflict seen in one string only, ignored at a support of two."""
+    rows = [("noise", i, ["a", "b", "c"]) for i in range(50)] + [("noise", 99, ["b", "a", "c"])]
+    s = spark.createDataFrame(rows, "model_key string, string_id int, seq array<string>")
+    return ln.infer_level_chain(s, min_support=2).select("expr")
+
+
+EXTRA = {
+    "model_example": model_example, "measures_example": measures_example, "shape_measures": shape_measures, "class_flags_examples": class_examples, "usage_proportions": usage, "usage_cube": usage_by_source,
+    "planted_draws": planted_draws, "planted_strings": planted_strings, "recovered_planted": recovered_planted, "compare_learners_planted": compare_planted, "sample_size_curve": sample_size_curve, "holdout_curve": holdout_curve,
+    "tag_strings": tag_strings(False), "tag_strings_implied_end": tag_strings(True), "model_tags": model_tags, "published_xml_strings": published_xml_strings, "model_published_xml": model_published_xml,
+    "relaxng_text": relaxng_text, "relaxng_round_trip": relaxng_round_trip, "merge_equals_batch": merge_equals_batch, "chunked_equals_whole": chunked_equals_whole, "stream_equals_batch": stream_equals_batch,
+    "tumbling_models": windowed("1 day", None), "sliding_models": windowed("7 days", "1 day"), "validate_roles": validate_roles, "infer_by_sampling": infer_by_sampling, "min_support_example": noisy,
+    "model_line_kinds": by_learner("level_chain", "line_kind"), "outer_shuffle_sorted_flags": by_learner("outer_shuffle", "sorted_flags", mis="exact"), "outer_shuffle_flags": by_learner("outer_shuffle", "flags"),
+    "bag_flags": by_learner("disjunctive_bag", "flags"), "bag_line_kinds": by_learner("disjunctive_bag", "line_kind", branch_ops="tight", cover="exact"), "chain_factor_sorted_flags": by_learner("chain_factor", "sorted_flags"),
+    "chain_factor_fields": by_learner("chain_factor", "record_field"), "single_occurrence_fields": by_learner("single_occurrence", "record_field"), "single_occurrence_roles": by_learner("single_occurrence", "roles"),
+    **{f"compare_learners_{w}": compare(w) for w in ("roles", "sorted_flags", "line_kind", "status")},
+}
 
 
 def queries():
-    return {}
+    found = {f"{family}_{w}": (lambda spark, sf, f=FAMILIES[family], w=w: f(WORKLOADS[w](spark, sf))) for family, ws in PLAN.items() for w in ws}
+    return found | EXTRA
+
+
+def _values(columns: str, rows: str) -> str:
+    return f"SELECT * FROM (VALUES {rows}) v({columns})"
 
 
 def oracle_sql():
-    return {}
+    found = {f"{family}_{w}": _sql(family, w) for family, ws in PLAN.items() for w in ws}
+    zero = "SELECT CAST(0 AS BIGINT) AS differing"
+    m = planted.MODULUS
+    found |= {
+        "model_example": _values("learner, expr", "('level_chain', 'a* (b* c+ & d) (e & f?)'), ('outer_shuffle', 'a* b* c+ e & d f?'), ('disjunctive_bag', 'a* & b* & c+ & d & e & f?'), ('all_shuffle', 'a* & b* & c+ & d & e & f?')"),
+        "recovered_planted": _values("model_key, recovered", "('astro', true), ('doc', true), ('web', true), ('thesis', true)"),
+        "outer_shuffle_sorted_flags": "SELECT 'AF* NF* RF* & AO* NO* RO*' AS expr, 6 AS n_symbols, 1 AS n_groups",
+        "min_support_example": "SELECT 'a b c' AS expr", "infer_by_sampling": "SELECT '(AF* & AO*) (NF* & NO*) (RF* & RO*)' AS expr",
+        "merge_equals_batch": zero, "chunked_equals_whole": zero, "stream_equals_batch": zero, "relaxng_round_trip": zero,
+        "outer_shuffle_flags": f"SELECT expr, n_symbols, 1 AS n_groups FROM ({_sql('all_shuffle', 'flags')})",
+        "bag_flags": f"SELECT expr, n_symbols, n_symbols AS n_groups FROM ({_sql('all_shuffle', 'flags')})",
+        "planted_draws": f"""WITH a AS (SELECT CAST(o_orderkey AS BIGINT) AS key, CAST(p AS BIGINT) AS p FROM orders, range(0, 4) r(p)),
+            b AS (SELECT key, p, (key * 48271 + p * 69621 + 1) % {m} AS x FROM a), c AS (SELECT key, p, x * (x % 65536 + p) % {m} AS x FROM b), d AS (SELECT key, p, x * (x % 65521 + 17) % {m} AS x FROM c)
+            SELECT key, p, x // 1024 AS x FROM d""",
+        "usage_proportions": """WITH f AS (SELECT p_partkey % 7 AS k FROM part) SELECT count(*) AS n, avg(CAST(k IN (2, 3, 4, 5, 6) AS DOUBLE)) AS has_shuffle, avg(CAST(k IN (0, 1) AS DOUBLE)) AS single_occurrence,
+            avg(CAST(k = 0 AS DOUBLE)) AS chain_factor, avg(CAST(k < 6 AS DOUBLE)) AS shuffle_single_occurrence, avg(CAST(k = 2 AS DOUBLE)) AS disjunctive_bag, avg(0.0::DOUBLE) AS plain_bag,
+            avg(CAST(k = 3 AS DOUBLE)) AS outer_shuffle, avg(CAST(k IN (3, 4, 5) AS DOUBLE)) AS level_chain, avg(CAST(k IN (2, 3, 4, 5) AS DOUBLE)) AS conflict_free FROM f""",
+        "measures_example": _values("learner, ls, data_cost, shuffle_count", "('bag', '1.709e+08', 108.6705, 720), ('outer', '1.787e+05', 92.4529, 20), ('level', '4.862e+03', 85.6647, 6)"),
+        "tumbling_models": """SELECT strftime(d, '%Y-%m-%d') AS model_key, count(DISTINCT event_type) AS n_symbols, count(DISTINCT user_id) AS n_strings FROM (SELECT date_trunc('day', ts) AS d, event_type, user_id FROM events) GROUP BY d""",
+    }
+    return found
+
+
+__all__ = ["oracle_sql", "queries"]

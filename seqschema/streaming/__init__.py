@@ -1 +1 @@
-"""Part of the library; see the README."""
+"""Models that grow with a stream: only summaries are kept."""
