@@ -3,6 +3,7 @@
 import glob
 import os
 import random
+from decimal import Decimal
 
 import duckdb
 import pytest
@@ -26,7 +27,7 @@ SOME = [
 
 
 def plain(rows):
-    return sorted([tuple(round(float(v), 6) if isinstance(v, float) else v for v in r) for r in rows], key=repr)
+    return sorted([tuple(round(float(v), 6) if isinstance(v, float | Decimal) else v for v in r) for r in rows], key=repr)
 
 
 @pytest.mark.parametrize("name", SOME)
