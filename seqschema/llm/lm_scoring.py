@@ -2,7 +2,8 @@
 
 Two interpolated bigram models over one hashed vocabulary are counted over the whole corpus: the background model on
 every document, the target model on the documents labelled good. Both use the same word numbers, bucket counts and
-smoothing weights. A document's score is the mean over its words of target loss less background loss, in nats: low
+smoothing weights; a document's own counts are taken out of the models before it is scored, so that documents of the
+target sample are judged like any other. A document's score is the mean over its words of target loss less background loss, in nats: low
 means closer to the target. Counts are summed exactly; the tables have a fixed size (a parameter) and are broadcast.
 
 Defined results: words are the lower-cased runs between ASCII white space; null, empty and blank texts have no words,
@@ -54,12 +55,19 @@ def count_models(docs: DataFrame, is_target: str, text_col: str = "text") -> dic
     return total_tables(docs, [text_col, is_target], names, sizes * 2, add)
 
 
-def losses(tables: dict[str, np.ndarray], side: str, word, pair, context, weights=WEIGHTS) -> np.ndarray:
-    words, pairs, contexts = (tables[f"{side}_{k}"] for k in ("words", "pairs", "contexts"))
-    total = max(1, int(words.sum())) if f"{side}_total" not in tables else tables[f"{side}_total"]
-    seen = contexts[context]
-    given = np.where(seen > 0, np.minimum(1.0, pairs[pair] / np.maximum(seen, 1)), words[word] / total)
-    return -np.log(weights[0] * given + weights[1] * words[word] / total + weights[2] / len(words))
+def own_counts(buckets: np.ndarray) -> np.ndarray:
+    """For each place of a document, how often its bucket occurs in the document."""
+    _, back, times = np.unique(buckets, return_inverse=True, return_counts=True)
+    return times[back]
+
+
+def losses(tables: dict[str, np.ndarray], side: str, places, own, weights=WEIGHTS) -> np.ndarray:
+    """Loss of each word. own: the document's own counts, taken out of the model first, or zeros."""
+    words, pairs, contexts = (np.maximum(0, tables[f"{side}_{k}"][at].astype(np.int64) - less) for k, at, less in zip(("words", "pairs", "contexts"), places, own, strict=True))
+    total = max(1, tables[f"{side}_total"] - (len(words) if np.any(own[0]) else 0))
+    plain = words / total
+    given = np.where(contexts > 0, np.minimum(1.0, pairs / np.maximum(contexts, 1)), plain)
+    return -np.log(weights[0] * given + weights[1] * plain + weights[2] / len(tables[f"{side}_words"]))
 
 
 def score_documents(docs: DataFrame, is_target: str, text_col: str = "text", keep=("doc_id",)) -> DataFrame:
@@ -71,20 +79,23 @@ def score_documents(docs: DataFrame, is_target: str, text_col: str = "text", kee
     def kernel():
         models = sent.value
 
-        def work(texts, _):
+        def work(texts, batch):
             out = []
-            for text in texts:
-                n, sums = 0, [0.0, 0.0]
-                for word, pair, context in _numbered(text):
-                    n += len(word)
-                    for k, side in enumerate(("target", "background")):
-                        sums[k] += float(losses(models, side, word, pair, context).sum())
-                a, b = (round(s / n, 9) if n else None for s in sums)
-                out.append((n, a, b, round(a - b, 9) if n else None))
+            for text, good in zip(texts, batch.column(batch.schema.get_field_index(is_target)).to_pylist(), strict=True):
+                parts = list(_numbered(text))
+                if not parts:
+                    out.append((0, None, None, None))
+                    continue
+                places = [np.concatenate(x) for x in zip(*parts, strict=True)]
+                own = [own_counts(x) for x in places]
+                nothing = [np.zeros(1, np.int64)] * 3
+                a = float(losses(models, "target", places, own if good else nothing).mean())
+                b = float(losses(models, "background", places, own).mean())
+                out.append((len(places[0]), round(a, 9), round(b, 9), round(a - b, 9)))
             cols = list(zip(*out, strict=True))
             return [pa.array(cols[0], pa.int64())] + [pa.array(c, pa.float64()) for c in cols[1:]]
 
         return work
 
     fields = [("n_words", T.LongType()), ("target_loss", T.DoubleType()), ("background_loss", T.DoubleType()), ("score", T.DoubleType())]
-    return append_columns(docs, text_col, kernel, fields, list(keep))
+    return append_columns(docs, text_col, kernel, fields, list(keep), (is_target,))
