@@ -1,18 +1,20 @@
 """Statistics of strings, all declared on DataFrames: strings (model_key, string_id, seq) in, facts out.
 
 Everything a learner needs is a union or sum over strings, so one pass of tagged facts and one aggregate make the
-summary of all models at once, and summaries merge. Python takes no part.
+summary of all models at once, and summaries merge. Python takes part in levels() only, on one small graph per model.
 """
 
 from __future__ import annotations
 
 from functools import reduce
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from seqschema.functions.solver import SINK, SOURCE
+from seqschema.functions.solver import SINK, SOURCE, skipped_levels
+from seqschema.functions.solver import levels as graph_levels
 from seqschema.operators.stored import stored
 
 #: Tags of facts: totals, symbols, pairs (a somewhere before b), edges (b directly after a), strings by length.
@@ -140,21 +142,17 @@ def contract(edges: DataFrame, comp: DataFrame) -> DataFrame:
     return out.where("src <> dst").select("model_key", "src", "dst").distinct()
 
 
-def levels(edges: DataFrame, most: int = 100) -> DataFrame:
-    """(model_key, node, level, skip): longest path from the source by a recursive query, and skipped levels."""
-    spark = edges.sparkSession
-    edges = stored(edges, "edges")
-    edges.createOrReplaceTempView("_edges")
-    found = spark.sql(f"""
-        WITH RECURSIVE walk(model_key, node, level) AS (
-          SELECT DISTINCT model_key, '{SOURCE}', 0 FROM _edges
-          UNION ALL
-          SELECT DISTINCT e.model_key, e.dst, w.level + 1 FROM walk w JOIN _edges e ON e.model_key = w.model_key AND e.src = w.node WHERE w.level < {most})
-        SELECT model_key, node, max(level) AS level FROM walk GROUP BY model_key, node""")
-    at = found.select("model_key", "node", "level")
-    jumps = edges.join(at.select("model_key", F.col("node").alias("src"), F.col("level").alias("lo")), ["model_key", "src"]).join(at.select("model_key", F.col("node").alias("dst"), F.col("level").alias("hi")), ["model_key", "dst"])
-    skipped = jumps.where("hi > lo + 1").select("model_key", F.explode(F.sequence(F.col("lo") + 1, F.col("hi") - 1)).alias("level")).distinct().withColumn("skip", F.lit(True))
-    return found.join(skipped, ["model_key", "level"], "left").select("model_key", "node", "level", F.coalesce("skip", F.lit(False)).alias("skip"))
+def levels(edges: DataFrame) -> DataFrame:
+    """(model_key, node, level, skip): longest path from the source in a model's acyclic graph, however deep, and
+    whether an edge skips that level. A contracted graph is small, so each model's is one task."""
+
+    def solve(own: pd.DataFrame) -> pd.DataFrame:
+        pairs = set(zip(own["src"], own["dst"], strict=True))
+        level = graph_levels(pairs)
+        skipped = skipped_levels(pairs, level)
+        return pd.DataFrame([(own["model_key"].iloc[0], node, n, n in skipped) for node, n in level.items()], columns=["model_key", "node", "level", "skip"])
+
+    return edges.groupBy("model_key").applyInPandas(solve, "model_key string, node string, level int, skip boolean")
 
 
 def _fact(kind: str, a, b, n, w, hi) -> Column:

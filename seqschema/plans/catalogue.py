@@ -12,6 +12,7 @@ from seqschema.functions import registry
 from seqschema.operators import learners as ln
 from seqschema.operators import strings as st
 from seqschema.operators import validate as va
+from seqschema.operators.stored import stored
 from seqschema.sources import markup, planted, schemas
 from seqschema.sources.tables import WORKLOADS, chunks_from_rows, table
 from seqschema.streaming import incremental
@@ -88,14 +89,8 @@ def _contracted(s: DataFrame) -> DataFrame:
 
 
 def _comp(d: DataFrame) -> DataFrame:
-    """Components of the conflict graph by a recursive query."""
-    st.conflicts(st.order_pairs(d)).createOrReplaceTempView("_near")
-    st.alphabet(d).createOrReplaceTempView("_alphabet")
-    return d.sparkSession.sql("""
-        WITH RECURSIVE reach(model_key, sym, other, depth) AS (
-          SELECT model_key, sym, sym, 0 FROM _alphabet
-          UNION ALL SELECT DISTINCT r.model_key, r.sym, n.b, r.depth + 1 FROM reach r JOIN _near n ON n.model_key = r.model_key AND n.a = r.other WHERE r.depth < (SELECT count(*) FROM _alphabet) AND r.depth < 20)
-        SELECT model_key, sym, min(other) AS comp FROM reach GROUP BY model_key, sym""")
+    """Components of the conflict graph, of any depth."""
+    return st.components(st.alphabet(d), stored(st.conflicts(st.order_pairs(d)), "conflicts"))
 
 
 FAMILIES = {

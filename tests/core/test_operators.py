@@ -68,6 +68,18 @@ def test_odd_strings(spark):
     assert ln.infer_level_chain(wide).first()["n_symbols"] == 70
 
 
+def test_long_chains_of_components_and_levels(spark):
+    names = [f"s{i:03d}" for i in range(130)]
+    pairs = [("m", a, b) for x, y in zip(names[:40], names[1:40], strict=False) for a, b in ((x, y), (y, x))]
+    symbols = spark.createDataFrame([("m", x) for x in names[:41]], "model_key string, sym string")
+    got = {r["sym"]: r["comp"] for r in st.components(symbols, spark.createDataFrame(pairs, "model_key string, a string, b string")).collect()}
+    assert got == {x: names[0] for x in names[:40]} | {names[40]: names[40]}
+    path = [solver.SOURCE, *names, solver.SINK]
+    edges = spark.createDataFrame([("m", a, b) for a, b in zip(path, path[1:], strict=False)] + [("m", names[3], names[5])], "model_key string, src string, dst string")
+    rows = st.levels(edges).collect()
+    assert {r["node"]: r["level"] for r in rows} == {x: i for i, x in enumerate(path)} and [r["node"] for r in rows if r["skip"]] == [names[4]]
+
+
 def test_validation_agrees_with_derivatives(spark):
     rnd = random.Random(2)
     train = strings(spark, [list(s) for s in ("aabcde", "acdcfe", "dbbcfe", "adbcef")])
