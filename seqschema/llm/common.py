@@ -55,6 +55,24 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a class that make it hot, at least; the share of all rows that makes it hot, so that few classes can be.
+HOT_ROWS, HOT_SHARE = 100_000, 10_000
+
+
+def join_classes(rows: DataFrame, classes: DataFrame, keys: Sequence[str], size: str, hot_rows: int = HOT_ROWS) -> DataFrame:
+    """rows with the columns of their class, without size. Keys are not null and name each class once; size says how
+    many rows it has. Hot classes, at most HOT_SHARE of them by their size, are broadcast; the others are shuffled and
+    none is larger than a task can hold. Both tables should be written ones: they are read twice where a class is hot."""
+    total, most = classes.agg(F.sum(size), F.max(size)).first()
+    least = max(hot_rows, (total or 0) // HOT_SHARE)
+    plain = classes.drop(size)
+    if (most or 0) <= least:
+        return rows.join(plain, list(keys))
+    hot = F.broadcast(classes.where(F.col(size) > least).drop(size))
+    cold = rows.join(hot, list(keys), "left_anti").join(classes.where(F.col(size) <= least).drop(size), list(keys))
+    return rows.join(hot, list(keys)).unionByName(cold)
+
+
 def lower_ascii(text):
     """A-Z to a-z and nothing else; the cheap built-in is right where the text holds ASCII only."""
     return F.when(F.octet_length(text) == F.char_length(text), F.lower(text)).otherwise(F.translate(text, UPPER, LOWER))

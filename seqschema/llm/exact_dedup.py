@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from seqschema.llm.common import lower_ascii, written
+from seqschema.llm.common import join_classes, lower_ascii, written
 
 #: Chunk sizes in characters, and where a chunk may end: after a space or line end that follows one of these word ends.
 LEAST, MOST, BORDER = 512, 4096, r"(?<=[aeinst][dnrsty.])[ \n]"
@@ -60,13 +60,11 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     """doc_id, keep_id, group_size, kept, text_sha256 for every document."""
     rec = written(recipes(docs, id_col, text_col, **sizes), "recipes")
     lists = verified(rec)
-    one = lists.groupBy("doc_id", "text_sha256", "recipe").agg(F.count("*").alias("rows"))
-    groups = one.groupBy("text_sha256", "recipe").agg(F.max("doc_id").alias("keep_id"), F.sum("rows").alias("group_size"))
-    return (
-        one.alias("d")
-        .join(groups.alias("g"), (F.col("d.text_sha256") == F.col("g.text_sha256")) & (F.col("d.recipe") == F.col("g.recipe")))
-        .select(F.col("d.doc_id").alias(id_col), "keep_id", "group_size", F.col("d.doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.col("d.text_sha256").alias("text_sha256"))
-    )
+    one = written(lists.groupBy("doc_id", "text_sha256", "recipe").agg(F.count("*").alias("rows")), "distinct-rows")
+    groups = written(one.groupBy("text_sha256", "recipe").agg(F.max("doc_id").alias("keep_id"), F.sum("rows").alias("group_size"), F.count("*").alias("members")), "groups")
+    return join_classes(one, groups, ["text_sha256", "recipe"], "members").select(
+        F.col("doc_id").alias(id_col), "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"
+    )
 
 
 def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -9,11 +9,15 @@ distance, and a tree is grown for each block: linked fingerprints are within rad
 A tree's levels are vantage points with rings of distance around them; the rings a fingerprint falls into, level by
 level, name its shard. By the triangle bound a neighbour lies in the same or an overlapping ring, so a fingerprint
 asks all shards that its ball touches. With blocks = radius + 1 the ball has radius zero and touches its own shard only.
-Inside a shard, a tree over the full distance finds the exact neighbours; it grows one component at a time, and a
-shard hands on one link per fingerprint to its component's least one, never all pairs. Components across shards come
-from rounds of star contraction over written tables.
-
-Equal fingerprints are merged before all this, so a hot group of copies is one point. Defined results: null, empty and
+A shard that holds more than `shard` fingerprints is split again, by a tree for each block of the bits that did not name
+it: two of its fingerprints within the radius agree in one of these blocks too, so no link is lost, and the number of
+shards grows with the input. What is still larger after SPLITS rounds is a clump of close fingerprints, which the next
+step takes out at once. Inside a shard, a tree over the full distance finds the exact neighbours; it grows one component
+at a time, and a shard hands on one link per fingerprint to its component's least one, never all pairs. Components
+across shards come from rounds of star contraction over written tables.
+
+Equal fingerprints are merged before all this, so a hot group of copies is one point; documents get their class back
+without gathering a hot group in one task. Defined results: null, empty and
 blank texts have fingerprint zero, linked as any other; a text shorter than a shingle is one shingle; rows repeated with
 the same doc_id each get a row with the same class. A null doc_id is never the least of a class unless alone.
 """
@@ -30,11 +34,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from seqschema.llm.common import append_columns, bound_batches, written
+from seqschema.llm.common import append_columns, bound_batches, join_classes, written
 
 SHINGLE, RADIUS, SEED, BITS = 4, 4, 42, 64
 #: Vantage points of a block's tree, fingerprints of a leaf that are compared directly, shingles hashed at a time.
 LEVELS, LEAF, PART = 8, 1024, 1 << 16
+#: Fingerprints that a shard holds before it is split, rounds of splitting, marks of such shards that are broadcast, salts beyond.
+SHARD, SPLITS, BROADCAST_MARKS, SALTS = 20_000, 2, 200_000, 32
 
 
 def fingerprint(text: str, shingle: int = SHINGLE) -> int:
@@ -64,9 +70,11 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return append_columns(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), "text", kernel, [("fp", T.LongType())], ["doc_id"])
 
 
-def block_masks(blocks: int) -> list[int]:
-    cuts = [round(BITS * k / blocks) for k in range(blocks + 1)]
-    return [((1 << cuts[k + 1]) - (1 << cuts[k])) for k in range(blocks)]
+def block_masks(blocks: int, within: int = (1 << BITS) - 1) -> list[int]:
+    """The bits of within, cut into blocks of nearly equal size."""
+    bits = [b for b in range(BITS) if within >> b & 1]
+    cuts = [round(len(bits) * k / blocks) for k in range(blocks + 1)]
+    return [sum(1 << b for b in bits[cuts[k] : cuts[k + 1]]) for k in range(blocks)]
 
 
 def _signed(x: int) -> int:
@@ -77,12 +85,15 @@ def _then(rings: Column):
     return lambda name: F.transform(rings, lambda ring: name * 64 + ring)
 
 
-def shard_names(fp: Column, mask: int, points: list[int], radius: int) -> tuple[Column, Column]:
-    """The shard a fingerprint lies in, and all shards its ball touches, as numbers."""
-    width = 1 if radius == 0 else max(4 * radius, mask.bit_count() // 4)
+def _of_tree(k: int):
+    return lambda name: F.struct(F.lit(k).alias("tree"), name.alias("shard"))
+
+
+def shard_names(fp: Column, mask: Column, width: int, points: list[int], radius: int) -> tuple[Column, Column]:
+    """The shard a fingerprint lies in, and all shards its ball touches, as numbers. width: of a ring."""
     home, asked = F.lit(0).cast("bigint"), F.array(F.lit(0).cast("bigint"))
     for point in points:
-        d = F.bit_count(fp.bitwiseXOR(F.lit(_signed(point))).bitwiseAND(F.lit(_signed(mask)))).cast("bigint")
+        d = F.bit_count(fp.bitwiseXOR(F.lit(_signed(point))).bitwiseAND(mask)).cast("bigint")
         home = home * 64 + F.floor(d / width)
         if radius:
             rings = F.sequence(F.floor(F.greatest(d - radius, F.lit(0)) / width), F.floor((d + radius) / width))
@@ -155,20 +166,50 @@ def links(points: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate(a), np.concatenate(b)) if a else (points[:0], points[:0])
 
 
-def linked_pairs(distinct: DataFrame, radius: int = RADIUS, blocks: int | None = None) -> DataFrame:
-    """Links (a, b) between distinct fingerprints that connect exactly what the radius connects."""
-    blocks = blocks or radius + 1
+def _vantage_points(rng: np.random.Generator) -> list[int]:
+    return [int(x) for x in rng.integers(0, 2**64, LEVELS, np.uint64)]
+
+
+def shard_rows(distinct: DataFrame, radius: int, blocks: int, shard: int = SHARD) -> DataFrame:
+    """(tree, shard, fp): every shard with the fingerprints that lie in it or touch it."""
     ball, rng = radius // blocks, np.random.default_rng(11)
+    used = block_masks(blocks)
     sides = []
-    for k, mask in enumerate(block_masks(blocks)):
-        points = [int(x) for x in rng.integers(0, 2**64, LEVELS, np.uint64)]
-        home, asked = shard_names(F.col("fp"), mask, points, ball)
-        tree = F.lit(k).cast("int").alias("tree")
-        sides.append(distinct.select("fp", tree, F.explode(asked).alias("shard"), home.alias("home")))
-    rows = sides[0]
-    for s in sides[1:]:
-        rows = rows.unionByName(s)
-    rows = rows.select("tree", "shard", "fp").repartition("tree", "shard").sortWithinPartitions("tree", "shard", "fp")
+    for k, mask in enumerate(used):
+        width = 1 if ball == 0 else max(4 * ball, mask.bit_count() // 4)
+        _, asked = shard_names(F.col("fp"), F.lit(_signed(mask)), width, _vantage_points(rng), ball)
+        sides.append(F.transform(asked, _of_tree(k)))
+    now = distinct.select(F.explode(F.concat(*sides)).alias("at"), "fp").select("at.tree", "at.shard", "fp")
+    settled, first = None, 0
+    for _ in range(SPLITS):
+        large = written(now.groupBy("tree", "shard").agg(F.count("*").alias("n")).where(F.col("n") > shard).select("tree", "shard", F.lit(True).alias("large")), "large-shards")
+        n = large.count()
+        if not n:
+            break
+        if n <= BROADCAST_MARKS:
+            marked = now.join(F.broadcast(large), ["tree", "shard"], "left")
+        else:
+            salted = large.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))))
+            marked = now.withColumn("salt", F.pmod(F.xxhash64("fp"), F.lit(SALTS)).cast("bigint")).join(salted, ["tree", "shard", "salt"], "left")
+        marked = written(marked.select("tree", "shard", "fp", "large"), "marked-shards")
+        calm = marked.where("large IS NULL").select("tree", "shard", "fp")
+        settled = calm if settled is None else settled.unionByName(calm)
+        # tree numbers go on: the trees of split shards follow all earlier ones
+        after, parts = first + len(used), radius + 1
+        below = [block_masks(parts, ((1 << BITS) - 1) & ~mask) for mask in used]
+        sides = []
+        for j in range(parts):
+            mask = F.element_at(F.array(*[F.lit(_signed(x[j])) for x in below]), F.col("tree") - first + 1)
+            home, _ = shard_names(F.col("fp"), mask, 1, _vantage_points(rng), 0)
+            sides.append(F.struct((F.lit(after + j) + (F.col("tree") - first) * parts).cast("int").alias("tree"), F.xxhash64("shard", home).alias("shard")))
+        now = marked.where("large").select(F.explode(F.array(*sides)).alias("at"), "fp").select("at.tree", "at.shard", "fp")
+        used, first = [mask | x for mask, own in zip(used, below, strict=True) for x in own], after
+    return now if settled is None else settled.unionByName(now)
+
+
+def linked_pairs(distinct: DataFrame, radius: int = RADIUS, blocks: int | None = None, shard: int = SHARD) -> DataFrame:
+    """Links (a, b) between distinct fingerprints that connect exactly what the radius connects."""
+    rows = shard_rows(distinct, radius, blocks or radius + 1, shard).repartition("tree", "shard").sortWithinPartitions("tree", "shard", "fp")
     bound_batches(distinct.sparkSession)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -221,12 +262,13 @@ def components(pairs: DataFrame) -> DataFrame:
 def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, radius: int = RADIUS, blocks: int | None = None) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id: the smallest doc_id that links can reach."""
     fps = written(fingerprints(docs, id_col, text_col, shingle), "fingerprints")
-    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct-fingerprints")
+    distinct = written(fps.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")), "distinct-fingerprints")
     roots = components(linked_pairs(distinct, radius, blocks))
-    named = distinct.join(roots, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp")).select("fp", "root", "first")
-    least = named.groupBy("root").agg(F.min("first").alias("component_id"))
-    classes = written(named.join(least, "root").select("fp", "component_id"), "classes")
-    return fps.join(classes, "fp").select(F.col("doc_id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    named = distinct.join(roots, F.col("fp") == F.col("node"), "left").withColumn("root", F.coalesce("root", "fp")).select("fp", "root", "first", "n")
+    named = written(named, "roots")
+    least = written(named.groupBy("root").agg(F.min("first").alias("component_id"), F.count("*").alias("members")), "components")
+    classes = written(join_classes(named, least, ["root"], "members").select("fp", "component_id", "n"), "classes")
+    return join_classes(fps, classes, ["fp"], "n").select(F.col("doc_id").alias(id_col), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

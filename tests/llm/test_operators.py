@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer, models, pre_tokenizers
 
-from seqschema.llm import bpe, exact_dedup, lm_scoring, mixing, ngram_tables, pii, quality_rules, simhash, token_counts, token_files, url_filters
+from seqschema.llm import bpe, common, exact_dedup, lm_scoring, mixing, ngram_tables, pii, quality_rules, simhash, token_counts, token_files, url_filters
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint"
 
@@ -321,6 +321,31 @@ def test_links_of_random_fingerprints(spark, blocks):
     assert sorted(map(sorted, groups.values())) == sorted(map(sorted, found.values()))
 
 
+def test_split_shards_lose_no_link(spark):
+    rnd = random.Random(4)
+    points = {rnd.getrandbits(10) << 40 | rnd.getrandbits(9) for _ in range(400)} | {rnd.getrandbits(64) for _ in range(50)}
+    df = spark.createDataFrame([(simhash._signed(p),) for p in points], "fp bigint")
+    assert simhash.shard_rows(df, 4, 5, 10).where("tree >= 30").count() > 0
+    prints = dict(enumerate(sorted(points)))
+    want = naive_classes(prints, 4)
+    for blocks in (3, 5):
+        roots = {r["node"] % 2**64: r["root"] % 2**64 for r in simhash.components(simhash.linked_pairs(df, 4, blocks, 10)).collect()}
+        groups, found = {}, {}
+        for k, p in prints.items():
+            groups.setdefault(want[k], set()).add(p)
+            found.setdefault(roots.get(p, p), set()).add(p)
+        assert sorted(map(sorted, groups.values())) == sorted(map(sorted, found.values()))
+
+
+def test_hot_classes_are_joined_apart(spark):
+    rows = spark.createDataFrame([(i, i % 7 if i > 60 else 0) for i in range(100)], "id int, k int")
+    classes = rows.groupBy("k").agg(F.count("*").alias("n"), F.min("id").alias("least"))
+    plain = sorted(map(tuple, rows.join(classes.drop("n"), "k").select("id", "k", "least").collect()))
+    for hot in (0, 5, 20, 1000):
+        assert sorted(map(tuple, common.join_classes(rows, classes, ["k"], "n", hot).select("id", "k", "least").collect())) == plain
+    assert common.join_classes(rows.limit(0), classes.limit(0), ["k"], "n").count() == 0
+
+
 def test_vantage_tree_grows_past_a_leaf():
     import numpy as np
 
