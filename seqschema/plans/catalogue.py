@@ -344,6 +344,18 @@ def oracle_sql():
         "usage_proportions": """WITH f AS (SELECT p_partkey % 7 AS k FROM part) SELECT count(*) AS n, avg(CAST(k IN (2, 3, 4, 5, 6) AS DOUBLE)) AS has_shuffle, avg(CAST(k IN (0, 1) AS DOUBLE)) AS single_occurrence,
             avg(CAST(k = 0 AS DOUBLE)) AS chain_factor, avg(CAST(k < 6 AS DOUBLE)) AS shuffle_single_occurrence, avg(CAST(k = 2 AS DOUBLE)) AS disjunctive_bag, avg(0.0::DOUBLE) AS plain_bag,
             avg(CAST(k = 3 AS DOUBLE)) AS outer_shuffle, avg(CAST(k IN (3, 4, 5) AS DOUBLE)) AS level_chain, avg(CAST(k IN (2, 3, 4, 5) AS DOUBLE)) AS conflict_free FROM f""",
+        "usage_cube": """SELECT p_brand AS source, count(*) AS n, avg(CAST(k IN (3, 4, 5) AS DOUBLE)) AS level_chain, avg(CAST(k = 3 AS DOUBLE)) AS outer_shuffle
+            FROM (SELECT p_brand, p_partkey % 7 AS k FROM part) GROUP BY CUBE (p_brand)""",
+        "class_flags_examples": _values(
+            "expr, has_shuffle, single_occurrence, chain_factor, shuffle_single_occurrence, disjunctive_bag, plain_bag, outer_shuffle, level_chain, conflict_free",
+            "('a & b* c & d e?', true, false, false, true, false, false, true, true, true), ('a? (b c? & d+ e) f*', true, false, false, true, false, false, false, true, true), "
+            "('(a* | b?) & c', true, false, false, true, true, false, false, false, true), ('(a | b)+ c?', false, true, true, true, false, false, false, false, false), "
+            "('a b a', false, false, false, false, false, false, false, false, false)",
+        ),
+        "validate_roles": """SELECT conv_id AS string_id, count(*) FILTER (role = 'user') > 0 AND count(*) FILTER (role = 'system') <= 1 AND coalesce(min(pos) FILTER (role = 'system'), 1) = 1
+            AND count(*) FILTER (role NOT IN ('system', 'user', 'assistant')) = 0 AS ok FROM (SELECT *, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role) AS pos FROM conversations) GROUP BY conv_id""",
+        "sliding_models": """SELECT strftime(d - to_days(CAST(k AS INTEGER)), '%Y-%m-%d') AS model_key, count(DISTINCT event_type) AS n_symbols, count(DISTINCT user_id) AS n_strings
+            FROM (SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) AS d, event_type, user_id FROM events), range(0, 7) r(k) GROUP BY 1""",
         "measures_example": _values("learner, ls, data_cost, shuffle_count", "('bag', '1.709e+08', 108.6705, 720), ('outer', '1.787e+05', 92.4529, 20), ('level', '4.862e+03', 85.6647, 6)"),
         "tumbling_models": """SELECT strftime(d, '%Y-%m-%d') AS model_key, count(DISTINCT event_type) AS n_symbols, count(DISTINCT user_id) AS n_strings FROM (SELECT date_trunc('day', ts) AS d, event_type, user_id FROM events) GROUP BY d""",
     }

@@ -23,6 +23,7 @@ SOME = [
     "strings_roles", "strings_session", "distinct_flags", "length_hist_flags", "multiplicity_line_kind", "order_pairs_flags", "order_masks_flags", "conflicts_line_kind", "one_way_line_kind", "cooccurrence_flags",
     "never_together_line_kind", "components_roles", "automaton_line_kind", "contracted_sorted_flags", "levels_roles", "model_roles", "model_sorted_flags", "all_shuffle_flags", "universal_priority", "universal_size_flags",
     "coverage_line_kind", "model_example", "measures_example", "merge_equals_batch", "chunked_equals_whole", "stream_equals_batch", "planted_draws", "usage_proportions", "relaxng_round_trip", "tumbling_models",
+    "usage_cube", "class_flags_examples", "validate_roles", "sliding_models",
 ]
 
 
