@@ -43,8 +43,11 @@ def word_numbers(data: bytes, part: int = 1 << 21) -> Iterator[np.ndarray]:
         first = np.cumsum(size) - size
         letters = b[word].astype(np.uint64) + np.uint64(1)
         place = np.arange(len(letters)) - np.repeat(first, size)
+        factors = FACTORS[place & 63]
         with np.errstate(over="ignore"):
-            n = np.add.reduceat(letters * FACTORS[place & 63], first) + size.astype(np.uint64)
+            if size.max() > 64:  # letters 64 apart get factors of their own
+                factors = factors + (place >> 6).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C16)
+            n = np.add.reduceat(letters * factors, first) + size.astype(np.uint64)
             n = (n ^ (n >> np.uint64(31))) * np.uint64(0xD6E8FEB86659FD93)
         yield n ^ (n >> np.uint64(32))
 

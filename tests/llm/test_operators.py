@@ -411,3 +411,39 @@ def test_mixing_keeps_whole_tables(docs, texts):
     assert {r["doc_id"] for r in rows} == texts.keys() and all(0 < r["probability"] <= 1 for r in rows)
     assert all(r["n_tokens"] == max(1, len(texts[r["doc_id"]].encode().split())) for r in rows)
     assert max(r["probability"] for r in rows) == 1 and all(r["kept"] for r in rows if r["probability"] == 1)
+
+
+def test_lm_scores_equal_a_plain_bigram_model(spark, monkeypatch):
+    import math
+    from collections import Counter
+
+    rnd = random.Random(12)
+    # more distinct words than 2**18, one document with few of them, words that differ behind the 64th letter only
+    texts = [" ".join(f"w{rnd.randrange(500)} u{i}x{k}" for k in range(2500)) for i in range(130)]
+    texts += ["the same words the same words", "p" * 64 + "ab" + "q" * 62 + "ba", "p" * 64 + "bb" + "q" * 62 + "aa", "a" + "p" * 63 + "b", "b" + "p" * 63 + "a", " ", None]
+    rows = [(i, t, i % 3 == 0) for i, t in enumerate(texts)]
+    monkeypatch.setattr(lm_scoring, "BLOCK_BYTES", 200_000, raising=False)
+    monkeypatch.setattr(lm_scoring, "SLICE_BYTES", 1 << 20, raising=False)
+    got = by_id(lm_scoring.score_documents(spark.createDataFrame(rows, "doc_id bigint, text string, good boolean").repartition(3), "good"))
+    pairs_of = {i: list(zip(["", *t.lower().split()], t.lower().split())) for i, t, _ in ((i, t or "", g) for i, t, g in rows)}
+    uni, bi, con = ([Counter(), Counter()] for _ in range(3))
+    for i, _, g in rows:
+        for side in (0, 1)[: 1 + g]:
+            uni[side].update(w for _, w in pairs_of[i]), bi[side].update(pairs_of[i]), con[side].update(p for p, _ in pairs_of[i])
+    assert got.keys() == pairs_of.keys() and len(uni[0]) > 1 << 18
+    for i, _, g in rows:
+        mine, loss = pairs_of[i], [0.0, 0.0]
+        assert got[i]["n_words"] == len(mine)
+        if not mine:
+            assert got[i]["score"] is None
+            continue
+        own = Counter(w for _, w in mine), Counter(mine), Counter(p for p, _ in mine)
+        for side in (0, 1):
+            less = side == 0 or g
+            total = max(1, sum(uni[side].values()) - less * len(mine))
+            for p, w in mine:
+                plain = (uni[side][w] - less * own[0][w]) / total
+                c = con[side][p] - less * own[2][p]
+                given = min(1.0, (bi[side][p, w] - less * own[1][p, w]) / c) if c else plain
+                loss[side] -= math.log(0.5 * given + 0.4 * plain + 0.1 / (1 << 18)) / len(mine)
+        assert got[i]["background_loss"] == pytest.approx(loss[0], abs=1e-7) and got[i]["target_loss"] == pytest.approx(loss[1], abs=1e-7)
