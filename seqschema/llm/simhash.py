@@ -272,10 +272,15 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """One document of each class: the one with the smallest doc_id, with the columns of docs. Documents without a
-    doc_id stay only where their class has no other; rows that repeat the kept doc_id go, all but one."""
+    """One document of each class, with the columns of docs: the one with the smallest doc_id, of several the one with
+    the smallest SHA-256 of its text. Documents without a doc_id stay only where their class has no other; rows that
+    repeat the kept document's doc_id and text go, all but one."""
     from pyspark.sql import Window as W
 
-    keep = near_groups(docs, id_col, text_col, **options).where(F.col(id_col).eqNullSafe(F.col("component_id"))).select(F.col(id_col).alias("_keep")).distinct()
-    rows = docs.withColumn("_key", F.coalesce(F.col(id_col).cast("string"), F.lit(""))).join(keep.select(F.coalesce(F.col("_keep").cast("string"), F.lit("")).alias("_key")), "_key", "left_semi")
+    sha = F.sha2(F.coalesce(F.col(f"`{text_col}`"), F.lit("")), 256)
+    key = lambda ident, digest: F.concat_ws(":", F.coalesce(ident.cast("string"), F.lit("null")), digest)
+    ident = F.struct(F.col(f"`{id_col}`").isNull().alias("none"), F.col(f"`{id_col}`").alias("id"), sha.alias("digest"))
+    named = near_groups(docs.select(ident.alias("_row"), F.col(f"`{text_col}`").alias("_text")), "_row", "_text", **options)
+    keep = named.select(key(F.col("component_id.id"), F.col("component_id.digest")).alias("_key")).distinct()
+    rows = docs.withColumn("_key", key(F.col(f"`{id_col}`"), sha)).join(keep, "_key", "left_semi")
     return rows.withColumn("_nth", F.row_number().over(W.partitionBy("_key").orderBy("_key"))).where("_nth = 1").select(*[F.col(f"`{c}`") for c in docs.columns])

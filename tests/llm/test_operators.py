@@ -447,3 +447,13 @@ def test_lm_scores_equal_a_plain_bigram_model(spark, monkeypatch):
                 given = min(1.0, (bi[side][p, w] - less * own[1][p, w]) / c) if c else plain
                 loss[side] -= math.log(0.5 * given + 0.4 * plain + 0.1 / (1 << 18)) / len(mine)
         assert got[i]["background_loss"] == pytest.approx(loss[0], abs=1e-7) and got[i]["target_loss"] == pytest.approx(loss[1], abs=1e-7)
+
+
+def test_near_duplicates_keep_one_of_each_class(spark):
+    rnd = random.Random(13)
+    base = [" ".join(f"{rnd.choice('abcdefgh')}{rnd.randrange(10**6)}" for _ in range(60)) for _ in range(9)]
+    rows = [(None, base[0]), (None, base[1]), (None, base[2]), (1, base[2]), (7, base[3]), (7, base[4]), (8, base[4]), (9, base[5]), (9, base[5]), (None, None), (None, ""), (3, base[6]), (None, base[6].upper())]
+    got = [tuple(r) for r in simhash.keep_first(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()]
+    want = [(None, base[0]), (None, base[1]), (1, base[2]), (7, base[3]), (7, base[4]), (9, base[5]), (3, base[6])]
+    assert sorted((i or 0, t) for i, t in got if t) == sorted((i or 0, t) for i, t in want)
+    assert len(got) == len(want) + 1
