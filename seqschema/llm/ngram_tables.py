@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqschema.llm.common import bound_batches
+from seqschema.llm.common import bound_batches, written
 
 SLICES = 64
 
@@ -106,12 +106,14 @@ def total_tables(
 def trusted_flag(docs: DataFrame, labels: DataFrame, name: str = "_trusted", bound: int = 1_000_000) -> DataFrame:
     """Documents with a flag: labelled of good quality and not toxic by any of their labels.
 
-    Labels without a doc_id count for nothing. The flagged documents are those of a bounded sample of the labels: all of
-    them up to `bound` documents, beyond it the share bound/number with the smallest hashes. So the list of their ids has
-    a proven bound (8 MB) and is broadcast, and the texts need not move.
+    Labels without a doc_id count for nothing. Up to `bound` such documents the list of their ids is broadcast (8 MB at
+    most), and the texts need not move. A longer list is joined by a shuffle on the ids, and the flagged documents are
+    written, so that they move once; documents without a doc_id stay out of it. Every labelled document counts.
     """
     good = labels.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max(F.coalesce(F.col("quality"), F.lit(0))).alias("_q"), F.max(F.coalesce(F.col("toxic"), F.lit(0))).alias("_t"))
     good = good.where("_q = 1 AND _t = 0").select(F.col("doc_id").alias("_good_id"))
-    if (number := good.count()) > bound:
-        good = good.where(F.pmod(F.xxhash64("_good_id"), F.lit(1 << 32)) < int((1 << 32) * bound / number))
-    return docs.join(F.broadcast(good), F.col("doc_id") == F.col("_good_id"), "left").withColumn(name, F.col("_good_id").isNotNull()).drop("_good_id")
+    met = F.col("doc_id") == F.col("_good_id")
+    if good.count() <= bound:
+        return docs.join(F.broadcast(good), met, "left").withColumn(name, F.col("_good_id").isNotNull()).drop("_good_id")
+    flagged = docs.where("doc_id IS NOT NULL").join(good.hint("shuffle_merge"), met, "left").withColumn(name, F.col("_good_id").isNotNull()).drop("_good_id")
+    return written(flagged.unionByName(docs.where("doc_id IS NULL").withColumn(name, F.lit(False))), "flagged")

@@ -457,3 +457,10 @@ def test_near_duplicates_keep_one_of_each_class(spark):
     want = [(None, base[0]), (None, base[1]), (1, base[2]), (7, base[3]), (7, base[4]), (9, base[5]), (3, base[6])]
     assert sorted((i or 0, t) for i, t in got if t) == sorted((i or 0, t) for i, t in want)
     assert len(got) == len(want) + 1
+
+
+def test_every_trusted_document_counts_beyond_the_bound(spark):
+    docs = spark.createDataFrame([*((i, f"t{i}") for i in range(50)), (None, "n"), (3, "again")], "doc_id bigint, text string")
+    labels = spark.createDataFrame([(i, int(i % 4 != 0), int(i % 9 == 0)) for i in range(0, 60)] + [(None, 1, 0)], "doc_id bigint, quality int, toxic int")
+    plain = sorted(map(repr, ngram_tables.trusted_flag(docs, labels).collect()))
+    assert sorted(map(repr, ngram_tables.trusted_flag(docs, labels, bound=5).collect())) == plain and sum("True" in x for x in plain) == 34
