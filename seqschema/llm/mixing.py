@@ -2,8 +2,10 @@
 
 Token weights are added up by cell (source, language, topic). Each round rescales the cells so that one margin meets its
 target shares, margin after margin, until all margins fit. The calibrated weight of a cell over its token count gives
-the probability with which its documents are drawn, scaled so that the largest is one; a document is drawn where a hash
-of its doc_id, taken as a uniform number, is below it. Built-in functions only; only the cells go through the rounds.
+the probability with which its documents are drawn, scaled so that the largest is one and the expected amount drawn is at
+least `share` of all tokens. No probability is above one: what a cell lacks is spread over the others in proportion, so a rare value takes no more than
+its own tokens from the amount. A document is drawn where a hash of its doc_id, taken as a uniform number, is below its
+probability. Built-in functions only; only the cells go through the rounds.
 
 Targets are shares by margin value; where none are given a margin's own shares are flattened by its exponent in
 `flatten` (one leaves them as they are). Values without a target share, and target values without tokens, drop out of the fit: the former get
@@ -24,6 +26,8 @@ from pyspark.sql import functions as F
 from seqschema.llm.common import written
 
 MARGINS = ("source", "lang", "topic")
+#: The share of all tokens that is drawn in expectation, at least: more where all margins can be met with more.
+SHARE = 0.7
 FLATTEN, ROUNDS, TOLERANCE, SEED = {"source": 0.7, "lang": 0.7, "topic": 1.0}, 25, 1e-6, 17
 
 
@@ -83,13 +87,32 @@ def fit_cells(cells: DataFrame, targets: Mapping[str, Mapping[str, float]] | Non
     return now
 
 
-def mix_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", topic_col: str | None = None, targets=None, seed: int = SEED, **options) -> DataFrame:
+def scale_to(fitted: DataFrame, amount: float) -> DataFrame:
+    """fitted with _chance: the least of one and weight over tokens times a factor, so that the tokens drawn add up to
+    the amount at least, or to all tokens of cells with weight if these are fewer; the largest is one. Each round the cells that reach one leave the
+    rest; it ends when no further cell does."""
+    cells = fitted.withColumn("_ratio", F.when(F.col("tokens") > 0, F.col("weight") / F.col("tokens")).otherwise(0.0))
+    most = cells.agg(F.max("_ratio")).first()[0]
+    factor = 1.0 / most if most else 0.0
+    while True:
+        full = F.col("_ratio") * F.lit(factor) >= 1
+        taken, free, cut = cells.agg(F.sum(F.when(full, F.col("tokens"))), F.sum(F.when(~full, F.col("weight"))), F.max(F.when(~full, F.col("_ratio")))).first()
+        if not free:
+            break
+        # cells that are full stay full, for the factor never falls
+        factor = max(factor, (amount - (taken or 0)) / free)
+        if cut * factor < 1:
+            break
+    return cells.withColumn("_chance", F.round(F.least(F.col("_ratio") * F.lit(factor), F.lit(1.0)), 9))
+
+
+def mix_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", topic_col: str | None = None, targets=None, seed: int = SEED, share: float = SHARE, **options) -> DataFrame:
     """docs with topic, n_tokens, probability and kept."""
     named = describe(docs, text_col, topic_col)
     cells = written(named.groupBy("_source", "_lang", "_topic").agg(F.sum("_tokens").alias("tokens")), "cells")
-    fitted = fit_cells(cells, targets, **options).withColumn("_ratio", F.col("weight") / F.col("tokens"))
-    most = fitted.agg(F.max("_ratio")).first()[0] or 1.0
-    chance = fitted.select(*(F.col(f"_{m}").alias(f"_c_{m}") for m in MARGINS), F.round(F.least(F.col("_ratio") / F.lit(float(most)), F.lit(1.0)), 9).alias("_chance"))
+    fitted = fit_cells(cells, targets, **options)
+    amount = share * (cells.agg(F.sum("tokens")).first()[0] or 0)
+    chance = scale_to(fitted, amount).select(*(F.col(f"_{m}").alias(f"_c_{m}") for m in MARGINS), "_chance")
     met = named.join(chance, [F.col(f"_{m}") == F.col(f"_c_{m}") for m in MARGINS], "left")
     key = F.coalesce(F.col(f"`{id_col}`").cast("string"), F.col(f"`{text_col}`"), F.lit(""))
     drawn = F.pmod(F.xxhash64(F.lit(seed), key), F.lit(1 << 40)).cast("double") / F.lit(float(1 << 40))

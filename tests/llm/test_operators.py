@@ -464,3 +464,13 @@ def test_every_trusted_document_counts_beyond_the_bound(spark):
     labels = spark.createDataFrame([(i, int(i % 4 != 0), int(i % 9 == 0)) for i in range(0, 60)] + [(None, 1, 0)], "doc_id bigint, quality int, toxic int")
     plain = sorted(map(repr, ngram_tables.trusted_flag(docs, labels).collect()))
     assert sorted(map(repr, ngram_tables.trusted_flag(docs, labels, bound=5).collect())) == plain and sum("True" in x for x in plain) == 34
+
+
+def test_a_tiny_cell_takes_nothing_from_the_others(spark):
+    cells = [("a", "x", "p", 6_000_000, 0.55), ("b", "x", "p", 4_000_000, 0.44), ("stray", "x", "p", 60, 0.01)]
+    df = spark.createDataFrame(cells, "_source string, _lang string, _topic string, tokens bigint, weight double")
+    got = {r["_source"]: r["_chance"] for r in mixing.scale_to(df, 0.7 * 10_000_060).collect()}
+    assert got["stray"] == 1 and 6_000_000 * got["a"] + 4_000_000 * got["b"] == pytest.approx(0.7 * 10_000_060 - 60, rel=1e-6)
+    assert got["a"] / got["b"] == pytest.approx((0.55 / 6) / (0.44 / 4), rel=1e-6)
+    assert {r["_chance"] for r in mixing.scale_to(df, 20_000_000.0).collect()} == {1.0}
+    assert mixing.scale_to(df.limit(0), 0.0).count() == 0
