@@ -7,8 +7,8 @@ by the digests instead. Equal texts are equal ordered lists of verified numbers:
 The whole text's SHA-256 is part of the key as a last check. Built-in functions only.
 
 Defined results: null counts as the empty text, whose list is empty. Of equal texts the row with the largest doc_id
-stays; a null doc_id is the smallest. Rows equal in doc_id and text are one document, returned once, and count each in
-group_size. Rows with the same doc_id and different texts are judged apart.
+stays; a null doc_id is the smallest. Rows equal in doc_id and text are judged alike, returned as often as they occur, and
+count each in group_size. Rows with the same doc_id and different texts are judged apart.
 """
 
 from __future__ import annotations
@@ -62,7 +62,8 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     lists = verified(rec)
     one = written(lists.groupBy("doc_id", "text_sha256", "recipe").agg(F.count("*").alias("rows")), "distinct-rows")
     groups = written(one.groupBy("text_sha256", "recipe").agg(F.max("doc_id").alias("keep_id"), F.sum("rows").alias("group_size"), F.count("*").alias("members")), "groups")
-    return join_classes(one, groups, ["text_sha256", "recipe"], "members").select(
+    named = join_classes(one, groups, ["text_sha256", "recipe"], "members")
+    return named.withColumn("_nth", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("rows")))).select(
         F.col("doc_id").alias(id_col), "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"
     )
 
@@ -71,7 +72,7 @@ def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     """The documents that stay, one row each, with the columns of docs. Rows with the same doc_id and kept twice, by
     their different texts, both stay."""
     key = lambda ident, sha: F.concat_ws(":", F.coalesce(F.col(ident).cast("string"), F.lit("null")), sha)
-    keep = exact_groups(docs, id_col, text_col).where("kept").select(key(id_col, F.col("text_sha256")).alias("_key"))
+    keep = exact_groups(docs, id_col, text_col).where("kept").select(key(id_col, F.col("text_sha256")).alias("_key")).distinct()
     sha = F.sha2(lower_ascii(F.coalesce(F.col(text_col), F.lit(""))), 256)
     rows = docs.withColumn("_key", key(id_col, sha)).join(keep, "_key", "left_semi")
     first = W.partitionBy("_key").orderBy("_key")

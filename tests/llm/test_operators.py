@@ -474,3 +474,9 @@ def test_a_tiny_cell_takes_nothing_from_the_others(spark):
     assert got["a"] / got["b"] == pytest.approx((0.55 / 6) / (0.44 / 4), rel=1e-6)
     assert {r["_chance"] for r in mixing.scale_to(df, 20_000_000.0).collect()} == {1.0}
     assert mixing.scale_to(df.limit(0), 0.0).count() == 0
+
+
+def test_exact_groups_return_repeated_rows(spark):
+    rows = [(1, "same"), (1, "same"), (None, "same"), (None, "same"), (2, None), (2, "")]
+    got = [tuple(r)[:4] for r in exact_dedup.exact_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()]
+    assert sorted(got, key=repr) == sorted([(1, 1, 4, True)] * 2 + [(None, 1, 4, False)] * 2 + [(2, 2, 2, True)] * 2, key=repr)
