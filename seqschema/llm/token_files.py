@@ -1,27 +1,30 @@
 """Token ids in Arrow stream files, with random access to sequences of equal length.
 
-Texts are encoded in one pass; the packed ids, not the texts, then go to shards by ranges of doc_id and are sorted. Each
-shard is one stream of ids in ascending doc_id order, cut into sequences of SEQUENCE ids: a record batch holds up to
-BATCH sequences as a fixed-size list of ids and a fixed-size list of mask bits (false where the shard's last sequence is
-padded). Read through a memory map, a sequence is a slice of the file, without a copy. A second stream beside it lists
-the shard's documents: doc_id, first id, number of ids. Files are written under a temporary name and renamed, so a lost
-or repeated task leaves whole files only.
-
-The tokenizers library encodes; common strings between white space are remembered, which gives the same ids because
+Texts are encoded in one pass; the packed ids, not the texts, then go to shards by ranges of doc_id and are sorted. The
+number of shards grows with the bytes of text. Each shard is one stream of ids in ascending doc_id order, cut into
+sequences of SEQUENCE ids: a record batch holds BATCH sequences (the last one the rest) as a fixed-size list of ids and a
+fixed-size list of mask bits (false where the shard's last sequence is padded). All batches but the last have the same
+length in bytes, so the place of any sequence follows from its number, and read through a memory map it is a slice of
+the file, without a copy. A second stream beside it lists the shard's documents: doc_id, first id, number of ids. Files
+are written under a temporary name and renamed, so a lost or repeated task leaves whole files only.
+
+The tokenizers library encodes. It gets the distinct strings between white space that a worker does not know yet, many
+at a time with spaces between them; its offsets say which ids are whose. This gives the ids of the whole text because
 neither its normaliser nor its pretokens reach across white space.
 
-Defined results: null counts as the empty text (just the end id). Equal doc_ids follow each other, by their packed
-ids. A null doc_id comes first. Repeated rows are written as often as they occur.
+Defined results: null counts as the empty text (just the end id). Equal doc_ids follow each other, by the crc32 of
+their ids, then by the ids; an id that holds more rows than a shard has shards of its own by ranges of that crc32. A
+null doc_id comes first, in the same way. Repeated rows are written as often as they occur.
 """
 
 from __future__ import annotations
 
 import functools
+import os
 import re
 import uuid
 import zlib
-from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -31,10 +34,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from seqschema.llm.bpe import Remembered
 from seqschema.llm.common import append_columns, bound_batches, fresh_dir, written
 
 SEQUENCE, BATCH, END = 2048, 256, 1
+#: Bytes of text for each shard. Strings a worker remembers, the longest of them, strings encoded in one call.
+SHARD_BYTES, KNOWN, LONG, CALL = 1 << 30, 600_000, 64, 128
 
 #: White space of Python that the tokenizer takes for symbols: texts that hold it are cut by the tokenizer's own rule.
 ODD_SPACES = re.compile("[\x1c-\x1f]")
@@ -49,20 +53,44 @@ def default_path() -> str:
 
 class WordEncoder:
     def __init__(self, path: str) -> None:
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.no_truncation()
         self.library.no_padding()
-        self.small = self.library.get_vocab_size() <= 1 << 16
-        self.cache = Remembered(self.ids, 300_000)
-
-    def ids(self, piece: str) -> bytes:
-        return array("I", self.library.encode(piece, add_special_tokens=False).ids).tobytes()
-
-    def encode(self, text: str) -> np.ndarray:
-        pieces = SPACES.split(text) if ODD_SPACES.search(text) else text.split()
-        return np.frombuffer(b"".join(map(self.cache.__getitem__, pieces)), np.uint32)
+        self.kind = np.uint16 if self.library.get_vocab_size() <= 1 << 16 else np.uint32
+        self.end = self.kind(END).tobytes()
+        self.known: dict[str, bytes] = {}
+
+    def learn(self, pieces: Sequence[str]) -> None:
+        """The ids of distinct strings without white space, by one call of the library for all of them."""
+        size = np.fromiter(map(len, pieces), np.int64, len(pieces)) + 1
+        got = self.library.encode(" ".join(pieces), add_special_tokens=False)
+        data = np.array(got.ids, np.uint32).astype(self.kind).tobytes()
+        first = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
+        cuts = np.searchsorted(first, np.cumsum(size)[:-1]) * np.dtype(self.kind).itemsize
+        edges = [0, *cuts.tolist(), len(data)]
+        self.known.update(zip(pieces, map(data.__getitem__, map(slice, edges, edges[1:])), strict=True))
+
+    def encode(self, texts: Iterable[str]) -> list[bytes]:
+        """The ids of each text and the end id, as little-endian numbers."""
+        split = [list(filter(None, SPACES.split(t))) if ODD_SPACES.search(t) else t.split() for t in texts]
+        here = set().union(*split)
+        new = [p for p in here if p not in self.known]
+        if len(self.known) + len(new) > KNOWN:
+            self.known, new = {}, list(here)
+        short = [p for p in new if len(p) <= LONG]
+        for k in range(0, len(short), CALL):
+            self.learn(short[k : k + CALL])
+        once = [p for p in new if len(p) > LONG]
+        for p in once:
+            self.learn([p])
+        look = self.known.__getitem__
+        out = [b"".join([*map(look, pieces), self.end]) for pieces in split]
+        for p in once:
+            del self.known[p]
+        return out
 
 
 @functools.lru_cache(maxsize=2)
@@ -101,7 +129,8 @@ class ShardWriter:
 
     def flush(self, last: bool = False) -> None:
         flat = np.concatenate(self.parts) if self.parts else np.zeros(0, self.kind)
-        whole = len(flat) // SEQUENCE * SEQUENCE
+        # whole batches only before the last, so that all are of one length
+        whole = len(flat) // SEQUENCE * SEQUENCE if last else len(flat) // (SEQUENCE * BATCH) * SEQUENCE * BATCH
         size = whole + (SEQUENCE if last and len(flat) > whole else 0)
         full = np.zeros(size, self.kind)
         full[: min(size, len(flat))] = flat[:size]
@@ -120,27 +149,52 @@ class ShardWriter:
             self.fs.move(f"{self.path}/.{name}-{self.shard:06d}-{self.tag}", f"{self.path}/{name}-{self.shard:06d}.arrow")
 
 
+class Ranges:
+    """Shards by ranges of doc_id. cuts: quantiles of the ids. A cut that occurs several times is an id with several
+    shards' rows: it has shards of its own, after that of the ids below it. Nulls are first."""
+
+    def __init__(self, cuts: Sequence[int], nulls: int) -> None:
+        self.nulls = nulls
+        self.values, times = np.unique(np.array(cuts, np.int64), return_counts=True)
+        self.own = np.where(times > 1, times, 0)
+        self.first = nulls + np.concatenate(([0], np.cumsum(1 + self.own)))
+        self.number = int(self.first[-1]) + 1
+
+    def shard(self, doc: int | None, crc: int) -> int:
+        if doc is None:
+            return crc * self.nulls >> 32
+        k = int(np.searchsorted(self.values, doc))
+        if k < len(self.values) and self.own[k] and self.values[k] == doc:
+            return int(self.first[k]) + 1 + (crc * int(self.own[k]) >> 32)
+        return int(self.first[k])
+
+
 def write_token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, folder: str | None = None, shards: int | None = None) -> DataFrame:
     """Write the files; return one row for each: folder, shard, n_tokens (ids in it), before (ids in earlier shards)."""
     spark = docs.sparkSession
     path, folder = path or default_path(), folder or fresh_dir(spark, "tokens")
-    shards = shards or max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    cuts = docs.agg(F.percentile_approx(id_col, [k / shards for k in range(1, shards)] or [0.5], 10_000).alias("c")).first()["c"] or []
-    cuts = sorted(set(cuts))[: shards - 1]
+    src = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
+    if shards is None:
+        size = src.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        shards = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // SHARD_BYTES), 1)
+    steps = [k / shards for k in range(1, shards)] or [0.5]
+    found = src.agg(F.percentile_approx("doc_id", steps, max(10_000, 20 * shards)).alias("cuts"), F.count("*").alias("rows"), F.count("doc_id").alias("named")).first()
+    ranges = Ranges((found["cuts"] or [])[: shards - 1], -(-(found["rows"] - found["named"]) * shards // max(1, found["rows"])))
 
     def kernel():
         enc, pack = load(path), zstandard.ZstdCompressor(level=1)
 
         def work(texts, batch):
-            ids = [np.append(enc.encode(t), np.uint32(END)) for t in texts]
-            packed = [pack.compress(x.astype(np.uint16 if enc.small else np.uint32).tobytes()) for x in ids]
-            shard = [0 if d is None else int(np.searchsorted(cuts, d, "left")) for d in batch.column(0).to_pylist()]
-            return [pa.array(shard, pa.int32()), pa.array(packed, pa.binary())]
+            ids = enc.encode(texts)
+            crcs = [zlib.crc32(x) for x in ids]
+            shard = [ranges.shard(d, c) for d, c in zip(batch.column(0).to_pylist(), crcs, strict=True)]
+            return [pa.array(shard, pa.int32()), pa.array(crcs, pa.int64()), pa.array(map(pack.compress, ids), pa.binary())]
 
         return work
 
-    rows = append_columns(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")), "text", kernel, [("shard", T.IntegerType()), ("ids", T.BinaryType())], ["doc_id"])
-    small = load(path).small
+    fields = [("shard", T.IntegerType()), ("crc", T.LongType()), ("ids", T.BinaryType())]
+    rows = append_columns(src, "text", kernel, fields, ["doc_id"])
+    kind = load(path).kind
     bound_batches(spark)
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -157,8 +211,8 @@ def write_token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
                     if writer is not None:
                         yield done()
                         listing = []
-                    writer = ShardWriter(folder, shard, pa.uint16() if small else pa.uint32())
-                ids = np.frombuffer(unpack.decompress(packed), np.uint16 if small else np.uint32)
+                    writer = ShardWriter(folder, shard, pa.from_numpy_dtype(kind))
+                ids = np.frombuffer(unpack.decompress(packed), kind)
                 listing.append({"doc_id": doc, "start": writer.add(ids), "n_tokens": len(ids)})
                 if len(listing) >= 50_000:
                     writer.docs.write_batch(pa.RecordBatch.from_pylist(listing, writer.doc_schema))
@@ -166,7 +220,7 @@ def write_token_files(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
         if writer is not None:
             yield done()
 
-    sorted_rows = rows.select("doc_id", "shard", "ids").repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", "doc_id", "ids")
+    sorted_rows = rows.repartitionById(ranges.number, F.col("shard")).sortWithinPartitions("shard", "doc_id", "crc", "ids").select("doc_id", "shard", "ids")
     found = written(sorted_rows.mapInArrow(write, "shard int, n_tokens bigint"), "token-manifest").collect()  # a row for each shard
     before, out = 0, []
     for r in sorted(found):
@@ -182,14 +236,28 @@ def open_stream(folder: str, name: str) -> pa.RecordBatchReader:
 
 
 def sequence(folder: str, shard: int, number: int) -> tuple[np.ndarray, np.ndarray]:
-    """One sequence of a shard and its mask: views of the mapped file for the ids."""
-    for batch in open_stream(folder, f"ids-{shard:06d}.arrow"):
-        if number < batch.num_rows:
-            lists = batch.column(0)
-            flat = lists.values.to_numpy(zero_copy_only=True)[lists.offset * SEQUENCE :]
-            return flat[number * SEQUENCE : (number + 1) * SEQUENCE], batch.column(1)[number].values.to_numpy(zero_copy_only=False)
-        number -= batch.num_rows
-    raise IndexError(number)
+    """One sequence of a shard and its mask: views of the mapped file for the ids. The first batch's length gives the
+    place of every other one."""
+    fs, path = store(folder)
+    name = f"{path}/ids-{shard:06d}.arrow"
+    with pa.memory_map(name) if isinstance(fs, pyarrow.fs.LocalFileSystem) else fs.open_input_file(name) as file:
+        schema = pa.ipc.read_schema(file)
+        start = file.tell()
+        nth, place = divmod(number, BATCH)
+        if nth:
+            pa.ipc.read_message(file)
+            place_of = start + nth * (file.tell() - start)
+            if place_of >= file.size():
+                raise IndexError(number)
+            file.seek(place_of)
+        try:
+            batch = pa.ipc.read_record_batch(pa.ipc.read_message(file), schema)
+        except (EOFError, pa.ArrowInvalid) as e:
+            raise IndexError(number) from e
+        if place >= batch.num_rows:
+            raise IndexError(number)
+    lists, masks = (c.values[(c.offset + place) * SEQUENCE :][:SEQUENCE] for c in batch.columns)
+    return lists.to_numpy(zero_copy_only=True), masks.to_numpy(zero_copy_only=False)
 
 
 def read_documents(folder: str, shard: int) -> Iterator[tuple[int | None, int, np.ndarray]]:

@@ -480,3 +480,23 @@ def test_exact_groups_return_repeated_rows(spark):
     rows = [(1, "same"), (1, "same"), (None, "same"), (None, "same"), (2, None), (2, "")]
     got = [tuple(r)[:4] for r in exact_dedup.exact_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()]
     assert sorted(got, key=repr) == sorted([(1, 1, 4, True)] * 2 + [(None, 1, 4, False)] * 2 + [(2, 2, 2, True)] * 2, key=repr)
+
+
+def test_token_files_of_hot_and_missing_ids(spark):
+    lib = Tokenizer.from_file(token_files.default_path())
+    rows = [(5, f"hot {i} text") for i in range(200)] + [(None, f"none {i}") for i in range(150)] + [(i, "Some words\x1chere " * i) for i in range(30)] + [(99, "a bc " * 350_000), (5, "hot 1 text")]
+    files = token_files.write_token_files(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(3), shards=6)
+    listed = sorted(files.collect(), key=lambda r: r["shard"])
+    assert max(r["n_tokens"] for r in listed if r["n_tokens"] < 10_000) < 1500 and len(listed) > 5
+    got = sorted(map(tuple, token_files.read_digests(files).collect()), key=lambda r: r[1])
+    want = sorted(zlib.crc32(b"".join(i.to_bytes(4, "little") for i in [*lib.encode(t, add_special_tokens=False).ids, 1])) for _, t in rows)
+    assert [r[0] for r in got] == sorted((d for d, _ in rows), key=lambda d: -1 if d is None else d) and sorted(r[3] for r in got) == want
+    assert all(b[1] == a[1] + a[2] for a, b in zip(got, got[1:]))
+    last = max(listed, key=lambda r: r["n_tokens"])
+    whole = [ids for _, _, ids in token_files.read_documents(last["folder"], last["shard"])]
+    flat, n = [int(x) for ids in whole for x in ids], last["n_tokens"]
+    for k in (0, 255, 256, 300, (n - 1) // token_files.SEQUENCE):
+        ids, mask = token_files.sequence(last["folder"], last["shard"], k)
+        assert ids[mask].tolist() == flat[k * token_files.SEQUENCE : (k + 1) * token_files.SEQUENCE]
+    with pytest.raises(IndexError):
+        token_files.sequence(last["folder"], last["shard"], n)
