@@ -10,7 +10,10 @@ are written under a temporary name and renamed, so a lost or repeated task leave
 
 The tokenizers library encodes. It gets the distinct strings between white space that a worker does not know yet, many
 at a time with spaces between them; its offsets say which ids are whose. This gives the ids of the whole text because
-neither its normaliser nor its pretokens reach across white space.
+neither its normaliser nor its pretokens reach across white space. Where the tokenizer file has the steps this module
+knows, the library's normaliser works on all new strings at once, they are cut into pretokens here, and the library's
+model gets the distinct pretokens it has not seen. Strings with a special token, with a control character, or with a
+character that the two regex libraries put into different classes (found by a probe) take all steps of the library.
 
 Defined results: null counts as the empty text (just the end id). Equal doc_ids follow each other, by the crc32 of
 their ids, then by the ids; an id that holds more rows than a shard has shards of its own by ranges of that crc32. A
@@ -20,6 +23,7 @@ null doc_id comes first, in the same way. Repeated rows are written as often as
 from __future__ import annotations
 
 import functools
+import json
 import os
 import re
 import uuid
@@ -29,6 +33,7 @@ from collections.abc import Iterable, Iterator, Sequence
 import numpy as np
 import pyarrow as pa
 import pyarrow.fs
+import regex
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -38,7 +43,10 @@ from seqschema.llm.common import append_columns, bound_batches, fresh_dir, writt
 
 SEQUENCE, BATCH, END = 2048, 256, 1
 #: Bytes of text for each shard. Strings a worker remembers, the longest of them, strings encoded in one call.
-SHARD_BYTES, KNOWN, LONG, CALL = 1 << 30, 600_000, 64, 128
+SHARD_BYTES, KNOWN, LONG, CALL = 1 << 30, 600_000, 64, 256
+#: The tokenizer file's steps before the model.
+STEPS = ["NFC", r"\s+", "Lowercase"], r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+PRETOKENS, ASCII_PRETOKENS = regex.compile(STEPS[1]), re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
 
 #: White space of Python that the tokenizer takes for symbols: texts that hold it are cut by the tokenizer's own rule.
 ODD_SPACES = re.compile("[\x1c-\x1f]")
@@ -54,24 +62,65 @@ def default_path() -> str:
 class WordEncoder:
     def __init__(self, path: str) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
-
-        self.library = Tokenizer.from_file(path)
-        self.library.no_truncation()
-        self.library.no_padding()
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
+
+        self.library, self.model = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        for x in (self.library, self.model):
+            x.no_truncation()
+            x.no_padding()
+        # the model alone, for pretokens between spaces
+        self.model.normalizer = normalizers.Lowercase()
+        self.model.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        steps = [x["pattern"]["Regex"] if x["type"] == "Replace" else x["type"] for x in (spec["normalizer"] or {}).get("normalizers", [])]
+        split = [x["pattern"]["Regex"] for x in (spec["pre_tokenizer"] or {}).get("pretokenizers", []) if x["type"] == "Split"]
+        self.knows_steps = (steps, *split) == STEPS
+        self.special = re.compile("|".join(re.escape(x["content"]) for x in spec["added_tokens"]) or r"(?!)")
+        self.agreed: dict[str, bool] = {}
         self.kind = np.uint16 if self.library.get_vocab_size() <= 1 << 16 else np.uint32
         self.end = self.kind(END).tobytes()
         self.known: dict[str, bytes] = {}
+        self.parts: dict[str, bytes] = {}
+
+    def cut(self, ids: list[int], owner: np.ndarray, pieces: Sequence[str]) -> Iterable[tuple[str, bytes]]:
+        """Each piece with its ids. owner: the number of each id's piece, ascending."""
+        data = np.array(ids, np.uint32).astype(self.kind).tobytes()
+        edges = np.searchsorted(owner, np.arange(len(pieces) + 1)) * np.dtype(self.kind).itemsize
+        edges = edges.tolist()
+        return zip(pieces, map(data.__getitem__, map(slice, edges, edges[1:])), strict=False)
 
     def learn(self, pieces: Sequence[str]) -> None:
         """The ids of distinct strings without white space, by one call of the library for all of them."""
         size = np.fromiter(map(len, pieces), np.int64, len(pieces)) + 1
         got = self.library.encode(" ".join(pieces), add_special_tokens=False)
-        data = np.array(got.ids, np.uint32).astype(self.kind).tobytes()
         first = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
-        cuts = np.searchsorted(first, np.cumsum(size)[:-1]) * np.dtype(self.kind).itemsize
-        edges = [0, *cuts.tolist(), len(data)]
-        self.known.update(zip(pieces, map(data.__getitem__, map(slice, edges, edges[1:])), strict=True))
+        self.known.update(self.cut(got.ids, np.searchsorted(np.cumsum(size), first, "right"), pieces))
+
+    def agrees(self, c: str) -> bool:
+        """Whether both regex libraries put a character into the same class, and the normaliser keeps it one string."""
+        if (same := self.agreed.get(c)) is None:
+            low = self.library.normalizer.normalize_str(f"a{c}1{c}!{c}'{c}{c}a")
+            split = [low[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(low)]
+            same = self.agreed[c] = c.isprintable() and not c.isspace() and " " not in low and split == PRETOKENS.findall(low)
+        return same
+
+    def learn_pretokens(self, pieces: Sequence[str]) -> None:
+        """The same by their distinct pretokens, for strings of characters that agree."""
+        joined = " ".join(pieces)
+        lower = (joined.lower() if joined.isascii() else self.library.normalizer.normalize_str(joined)).split(" ")
+        if len(lower) != len(pieces):
+            return self.learn(pieces)
+        found = list(map((ASCII_PRETOKENS if joined.isascii() else PRETOKENS).findall, lower))
+        if len(self.parts) > KNOWN:
+            self.parts = {}
+        new = [x for x in set().union(*found) if x not in self.parts]
+        for k in range(0, len(new), CALL):
+            some = new[k : k + CALL]
+            got = self.model.encode(" ".join(some), add_special_tokens=False)
+            self.parts.update(self.cut(got.ids, np.array(got.word_ids, np.int64), some))
+        look = self.parts.__getitem__
+        self.known.update(zip(pieces, (b"".join(map(look, x)) for x in found), strict=True))
 
     def encode(self, texts: Iterable[str]) -> list[bytes]:
         """The ids of each text and the end id, as little-endian numbers."""
@@ -81,13 +130,24 @@ class WordEncoder:
         if len(self.known) + len(new) > KNOWN:
             self.known, new = {}, list(here)
         short = [p for p in new if len(p) <= LONG]
-        for k in range(0, len(short), CALL):
-            self.learn(short[k : k + CALL])
+        odd = {c for c in set("".join(short)) if not self.agrees(c)}
+        if not self.knows_steps:
+            whole, short = short, []
+        elif odd or self.special.search(" ".join(short)):
+            whole = [p for p in short if self.special.search(p) or not odd.isdisjoint(p)]
+            short = list(set(short).difference(whole))
+        else:
+            whole = []
+        for k in range(0, len(whole), CALL):
+            self.learn(whole[k : k + CALL])
+        for some in ([p for p in short if p.isascii()], [p for p in short if not p.isascii()]):
+            if some:
+                self.learn_pretokens(some)
         once = [p for p in new if len(p) > LONG]
         for p in once:
             self.learn([p])
         look = self.known.__getitem__
-        out = [b"".join([*map(look, pieces), self.end]) for pieces in split]
+        out = [b"".join(map(look, pieces)) + self.end for pieces in split]
         for p in once:
             del self.known[p]
         return out
