@@ -21,14 +21,29 @@ BATCH_ROWS, BATCH_BYTES = 512, 16 << 20
 def bound_batches(spark: SparkSession) -> None:
     """Lower the session's Arrow batch size (a runtime setting) so that long texts come in small batches."""
     for key, most in (("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS), ("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)):
-        try:
-            now = spark.conf.get(key)
-            if not (0 < int(str(now).lower().rstrip("b")) <= most):
-                spark.conf.set(key, str(most))
-        except Exception:  # noqa: BLE001 - a Spark without the setting, or one that writes it with a unit
+        now = str(spark.conf.get(key)).lower().rstrip("b")
+        if not (now.isdigit() and 0 < int(now) <= most):  # not set, no bound, or written with a unit
             spark.conf.set(key, str(most))
 
 
+def spare(columns: Sequence[str], *names: str) -> list[str]:
+    """The names, with underscores behind them until no column has them (in any case)."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
+def row_order(df: DataFrame, *first: str):
+    """What rows are ordered by where any order would do but must always be the same: hashes of the first columns, then
+    of the whole row."""
+    part = {f.name: F.to_json(F.col(f"`{f.name}`")) if "map<" in f.dataType.simpleString() or f.dataType.simpleString() == "variant" else F.col(f"`{f.name}`") for f in df.schema}
+    return [*(F.xxhash64(part[c]) for c in first), F.xxhash64(*part.values())]
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's spark.checkpoint.dir; only a local master may go without."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
