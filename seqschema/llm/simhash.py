@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from seqschema.llm.common import append_columns, bound_batches, join_classes, written
+from seqschema.llm.common import append_columns, bound_batches, join_classes, row_order, spare, written
 
 SHINGLE, RADIUS, SEED, BITS = 4, 4, 42, 64
 #: Vantage points of a block's tree, fingerprints of a leaf that are compared directly, shingles hashed at a time.
@@ -274,13 +274,15 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """One document of each class, with the columns of docs: the one with the smallest doc_id, of several the one with
     the smallest SHA-256 of its text. Documents without a doc_id stay only where their class has no other; rows that
-    repeat the kept document's doc_id and text go, all but one."""
+    repeat the kept document's doc_id and text go, all but the one with the least hash of its row."""
     from pyspark.sql import Window as W
 
+    name, nth = spare(docs.columns, "_key", "_nth")
     sha = F.sha2(F.coalesce(F.col(f"`{text_col}`"), F.lit("")), 256)
     key = lambda ident, digest: F.concat_ws(":", F.coalesce(ident.cast("string"), F.lit("null")), digest)
     ident = F.struct(F.col(f"`{id_col}`").isNull().alias("none"), F.col(f"`{id_col}`").alias("id"), sha.alias("digest"))
     named = near_groups(docs.select(ident.alias("_row"), F.col(f"`{text_col}`").alias("_text")), "_row", "_text", **options)
-    keep = named.select(key(F.col("component_id.id"), F.col("component_id.digest")).alias("_key")).distinct()
-    rows = docs.withColumn("_key", key(F.col(f"`{id_col}`"), sha)).join(keep, "_key", "left_semi")
-    return rows.withColumn("_nth", F.row_number().over(W.partitionBy("_key").orderBy("_key"))).where("_nth = 1").select(*[F.col(f"`{c}`") for c in docs.columns])
+    keep = named.select(key(F.col("component_id.id"), F.col("component_id.digest")).alias(name)).distinct()
+    rows = docs.withColumn(name, key(F.col(f"`{id_col}`"), sha)).join(keep, name, "left_semi")
+    first = W.partitionBy(name).orderBy(*row_order(docs))
+    return rows.withColumn(nth, F.row_number().over(first)).where(F.col(nth) == 1).select(*[F.col(f"`{c}`") for c in docs.columns])
