@@ -76,7 +76,7 @@ def total_tables(
             for k, table in enumerate(tables):
                 for i, part in enumerate(np.array_split(table, min(SLICES, len(table)))):
                     if part.any():
-                        data = part.astype(np.uint32) if part.max() < 2**32 else part
+                        data = part.astype(np.uint32) if part.min() >= 0 and part.max() < 2**32 else part
                         yield pa.RecordBatch.from_arrays([pa.array([k * SLICES + i], pa.int32()), pa.array([data.tobytes()], pa.binary()), pa.array([data.itemsize], pa.int32())], names=["slice", "data", "width"])
 
     def add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

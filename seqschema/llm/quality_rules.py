@@ -2,10 +2,12 @@
 
 The form counts are exact and reject a document by fixed limits. The method then compares two multinomials over hashed
 features (words and word pairs in buckets): the trusted target, documents labelled good and not toxic, and the raw
-corpus, every document. A document's ratio is the mean log-likelihood ratio of its features; every document below one
-fixed threshold is rejected, without any random draw.
+corpus, every document. A document's ratio is the mean log-likelihood ratio of its features, under multinomials without
+its own counts: a trusted document is judged as if it were not trusted, so that its ratio can be compared with that of
+any other document at any size of the corpus. Every document below one fixed threshold is rejected, without any random
+draw.
 
-The threshold is set from the ratios of trusted documents: their mean less `spread` standard deviations, both summed
+The threshold is set from these ratios of trusted documents: their mean less `spread` standard deviations, both summed
 over all of them. Trusted documents are what the filter must not lose.
 
 Defined results: words are the runs between ASCII white space; null, empty and blank texts have none, ratio null, and
@@ -98,33 +100,55 @@ def count_features(docs: DataFrame, is_trusted: str, text_col: str) -> dict[str,
     return total_tables(docs, [text_col, is_trusted], ["raw", "trusted"], [1 << BITS] * 2, add)
 
 
-def log_ratio(tables: dict[str, np.ndarray], smoothing: float = SMOOTHING) -> np.ndarray:
-    """log p(trusted) - log p(raw) of each bucket. The trusted multinomial is smoothed towards the raw one."""
-    raw = (tables["raw"] + smoothing) / (tables["raw"].sum() + smoothing * len(tables["raw"]))
-    weight = smoothing * len(raw)
-    trusted = (tables["trusted"] + weight * raw) / (tables["trusted"].sum() + weight)
-    return np.log(trusted) - np.log(raw)
+def own_counts(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """The buckets of a text's features, and how often it has each. A very long text is added up part by part."""
+    held, dense, size = [], None, 0
+    for f in features(text):
+        held.append(f)
+        size += len(f)
+        if size > 1 << BITS:
+            counts = np.bincount(np.concatenate(held), minlength=1 << BITS)
+            dense, held, size = counts if dense is None else dense + counts, [], 0
+    if dense is None:
+        return np.unique(np.concatenate(held), return_counts=True) if held else (np.zeros(0, np.int64), np.zeros(0, np.int64))
+    if held:
+        dense = dense + np.bincount(np.concatenate(held), minlength=1 << BITS)
+    found = np.flatnonzero(dense)
+    return found, dense[found]
+
+
+class Ratio:
+    """log p(trusted) - log p(raw), the mean over a text's features, without the text's own counts. The trusted
+    multinomial is smoothed towards the raw one."""
+
+    def __init__(self, raw: np.ndarray, trusted: np.ndarray, smoothing: float = SMOOTHING) -> None:
+        self.raw, self.trusted, self.smoothing = raw, trusted, smoothing
+        self.all, self.good = int(raw.sum()), int(trusted.sum())
+
+    def of(self, text: str, is_trusted: bool) -> float | None:
+        buckets, times = own_counts(text)
+        n = int(times.sum())
+        if not n:
+            return None
+        weight = self.smoothing * len(self.raw)
+        raw = (self.raw[buckets] - times + self.smoothing) / (self.all - n + weight)
+        own = times if is_trusted else 0
+        trusted = (self.trusted[buckets] - own + weight * raw) / (self.good - (n if is_trusted else 0) + weight)
+        return float((times * np.log(trusted / raw)).sum()) / n
 
 
 def judge(docs: DataFrame, is_trusted: str, text_col: str = "text", keep=("doc_id",), spread: float = SPREAD, prefix: str = "") -> DataFrame:
     """The kept columns with the form counts, base_failed, ratio and kept."""
     spark = docs.sparkSession
-    table = log_ratio(count_features(docs, is_trusted, text_col))
-    sent = spark.sparkContext.broadcast(table)
-
-    def ratio_of(text, ratios):
-        total, n = 0.0, 0
-        for f in features(text):
-            total += float(ratios[f].sum())
-            n += len(f)
-        return total / n if n else None
+    tables = count_features(docs, is_trusted, text_col)
+    sent = spark.sparkContext.broadcast(Ratio(tables["raw"], tables["trusted"]))
 
     def spread_of_trusted():
-        ratios = sent.value
+        ratio = sent.value
 
         def work(batch, tables):
             for text, good in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                if text and good and (r := ratio_of(text, ratios)) is not None:
+                if text and good and (r := ratio.of(text, True)) is not None:
                     r = round(r * SCALE)
                     tables[0] += np.array([1, r, r * r // SCALE], np.int64)
 
@@ -138,14 +162,14 @@ def judge(docs: DataFrame, is_trusted: str, text_col: str = "text", keep=("doc_i
         threshold = mean - spread * max(1e-6, squares / n / SCALE - mean * mean) ** 0.5
 
     def kernel():
-        ratios = sent.value
+        of = sent.value.of
 
-        def work(texts, _):
+        def work(texts, batch):
             rows = []
-            for text in texts:
+            for text, good in zip(texts, batch.column(batch.schema.get_field_index(is_trusted)).to_pylist(), strict=True):
                 words = text.encode().split()
                 counts = form(text, words)
-                failed, ratio = base_failed(counts[0], counts[4]), ratio_of(text, ratios)
+                failed, ratio = base_failed(counts[0], counts[4]), of(text, bool(good))
                 kept = not failed and (threshold is None or ratio >= threshold)
                 rows.append((*counts, failed, None if ratio is None else round(ratio, 9), kept))
             kinds = [pa.int64()] * 5 + [pa.bool_(), pa.float64(), pa.bool_()]
@@ -155,4 +179,4 @@ def judge(docs: DataFrame, is_trusted: str, text_col: str = "text", keep=("doc_i
 
     fields = [(prefix + x, T.LongType()) for x in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")]
     fields += [(prefix + "base_failed", T.BooleanType()), (prefix + "ratio", T.DoubleType()), (prefix + "kept", T.BooleanType())]
-    return append_columns(docs, text_col, kernel, fields, [c for c in keep if c != is_trusted])
+    return append_columns(docs, text_col, kernel, fields, [c for c in keep if c != is_trusted], [is_trusted])
