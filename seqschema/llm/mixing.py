@@ -18,23 +18,28 @@ drawn together.
 
 from __future__ import annotations
 
-from collections.abc import Mapping
+from collections.abc import Mapping, Sequence
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seqschema.llm.common import written
+from seqschema.llm.common import spare, written
 
 MARGINS = ("source", "lang", "topic")
+SPACE = r"[ \t\n\x0b\f\r]"
+#: Cells that are broadcast to the documents, salts of the join beyond.
+BROADCAST_CELLS, SALTS = 500_000, 64
 #: The share of all tokens that is drawn in expectation, at least: more where all margins can be met with more.
 SHARE = 0.7
 FLATTEN, ROUNDS, TOLERANCE, SEED = {"source": 0.7, "lang": 0.7, "topic": 1.0}, 25, 1e-6, 17
 
 
 def count_words(text: Column) -> Column:
-    """Words between ASCII white space: the letters after a space, counted by what deleting them removes."""
-    marked = F.translate(F.coalesce(text, F.lit("")), "\t\n\x0b\x0c\r", "     ")
-    return F.size(F.filter(F.split(marked, " "), lambda w: w != "")).cast("bigint")
+    """Words between ASCII white space: the pieces of a split there, without the empty ones at both ends."""
+    t = F.coalesce(text, F.lit(""))
+    ends = F.when(t.rlike(rf"^{SPACE}"), 1).otherwise(0) + F.when(t.rlike(rf"{SPACE}\z"), 1).otherwise(0)
+    return F.when(t == "", 0).otherwise(F.size(F.split(t, f"{SPACE}+")) - ends).cast("bigint")
 
 
 def topic_of(text: Column, n_words: Column) -> Column:
@@ -43,18 +48,18 @@ def topic_of(text: Column, n_words: Column) -> Column:
     return (
         F.when(n_words < 50, "snippet")
         .when(t.contains("@") | t.contains("password") | t.contains("token ="), "contact")
-        .when(F.length(t) - F.length(F.translate(t, "#*$%&|<>", "")) > n_words, "markup")
+        .when(F.length(t) - F.length(F.regexp_replace(t, "[#*$%&|<>]+", "")) > n_words, "markup")
         .when(n_words >= 1000, "long")
         .otherwise("prose")
     )
 
 
-def describe(docs: DataFrame, text_col: str = "text", topic_col: str | None = None) -> DataFrame:
-    """docs with _source, _lang, _topic and _tokens."""
-    words = F.greatest(count_words(F.col(text_col)), F.lit(1).cast("bigint"))
+def describe(docs: DataFrame, text_col: str = "text", topic_col: str | None = None) -> Column:
+    """The cell of a row and its tokens: a struct of source, lang, topic and tokens."""
+    words = F.greatest(count_words(F.col(f"`{text_col}`")), F.lit(1).cast("bigint"))
     value = lambda c: F.coalesce(F.col(f"`{c}`").cast("string"), F.lit(""))
-    out = docs.withColumn("_tokens", words).withColumn("_source", value("source")).withColumn("_lang", value("lang"))
-    return out.withColumn("_topic", value(topic_col) if topic_col else topic_of(F.col(text_col), F.col("_tokens")))
+    topic = value(topic_col) if topic_col else topic_of(F.col(f"`{text_col}`"), words)
+    return F.struct(value("source").alias("source"), value("lang").alias("lang"), topic.alias("topic"), words.alias("tokens"))
 
 
 def fit_cells(cells: DataFrame, targets: Mapping[str, Mapping[str, float]] | None = None, flatten: Mapping[str, float] = FLATTEN, rounds: int = ROUNDS, tolerance: float = TOLERANCE, strict: bool = False) -> DataFrame:
@@ -77,12 +82,10 @@ def fit_cells(cells: DataFrame, targets: Mapping[str, Mapping[str, float]] | Non
             have = now.groupBy(f"_{m}").agg(F.sum("weight").alias("have")).join(goals[m], f"_{m}")
             scale = have.select(f"_{m}", F.when(F.col("have") > 0, F.col("goal") / F.col("have")).otherwise(0.0).alias("scale"))
             now = now.join(scale, f"_{m}").withColumn("weight", F.col("weight") * F.col("scale")).select(*cells.columns, "weight")
-        now = written(now, "cells")
-        worst = 0.0
-        for m in MARGINS[:-1]:
-            gap = now.groupBy(f"_{m}").agg(F.sum("weight").alias("have")).join(goals[m], f"_{m}").agg(F.max(F.abs(F.col("have") - F.col("goal")))).first()[0]
-            worst = max(worst, gap or 0.0)
-        if worst <= tolerance:
+        now = written(now, "cells")  # each margin reads the table twice, so rounds are cut here
+        # the last margin has just been met; the others may have moved
+        gaps = [now.groupBy(f"_{m}").agg(F.sum("weight").alias("have")).join(goals[m], f"_{m}").agg(F.max(F.abs(F.col("have") - F.col("goal"))).alias("gap")) for m in MARGINS[:-1]]
+        if max(r["gap"] or 0.0 for r in reduce(DataFrame.unionByName, gaps).collect()) <= tolerance:
             break
     return now
 
@@ -106,18 +109,28 @@ def scale_to(fitted: DataFrame, amount: float) -> DataFrame:
     return cells.withColumn("_chance", F.round(F.least(F.col("_ratio") * F.lit(factor), F.lit(1.0)), 9))
 
 
-def mix_documents(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", topic_col: str | None = None, targets=None, seed: int = SEED, share: float = SHARE, **options) -> DataFrame:
-    """docs with topic, n_tokens, probability and kept."""
-    named = describe(docs, text_col, topic_col)
-    cells = written(named.groupBy("_source", "_lang", "_topic").agg(F.sum("_tokens").alias("tokens")), "cells")
-    fitted = fit_cells(cells, targets, **options)
-    amount = share * (cells.agg(F.sum("tokens")).first()[0] or 0)
-    chance = scale_to(fitted, amount).select(*(F.col(f"_{m}").alias(f"_c_{m}") for m in MARGINS), "_chance")
-    met = named.join(chance, [F.col(f"_{m}") == F.col(f"_c_{m}") for m in MARGINS], "left")
-    key = F.coalesce(F.col(f"`{id_col}`").cast("string"), F.col(f"`{text_col}`"), F.lit(""))
-    drawn = F.pmod(F.xxhash64(F.lit(seed), key), F.lit(1 << 40)).cast("double") / F.lit(float(1 << 40))
+def mix_documents(
+    docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", topic_col: str | None = None, targets=None, seed: int = SEED, share: float = SHARE, keep: Sequence[str] | None = None, **options
+) -> DataFrame:
+    """docs with topic, n_tokens, probability and kept. keep: the columns to return beside these, all by default. Without
+    the text among them texts are read once: what is told of them is written. With it they are read twice and never move."""
     taken = {"topic", "n_tokens", "probability", "kept"}
+    back = [c for c in (docs.columns if keep is None else keep) if c not in taken]
+    key = F.coalesce(F.col(f"`{id_col}`").cast("string"), F.col(f"`{text_col}`"), F.lit(""))
+    at, draw, chance, salt = spare(docs.columns, "_cell", "_draw", "_chance", "_salt")
+    named = docs.select(*[F.col(f"`{c}`") for c in back], describe(docs, text_col, topic_col).alias(at), F.pmod(F.xxhash64(F.lit(seed), key), F.lit(1 << 40)).alias(draw))
+    if text_col not in back:
+        named = written(named, "described")
+    cells = written(named.groupBy(*(F.col(at)[m].alias(f"_{m}") for m in MARGINS)).agg(F.sum(F.col(at)["tokens"]).alias("tokens")), "cells")
+    n_cells, tokens = cells.agg(F.count("*"), F.sum("tokens")).first()
+    fitted = scale_to(fit_cells(cells, targets, **options), share * (tokens or 0)).select(F.struct(*(F.col(f"_{m}").alias(m) for m in MARGINS)).alias("_margins"), F.col("_chance").alias(chance))
+    own = F.struct(*(F.col(at)[m].alias(m) for m in MARGINS))
+    if n_cells <= BROADCAST_CELLS:
+        met = named.join(F.broadcast(fitted), own == F.col("_margins"), "left")
+    else:  # a cell may hold a third of all rows: each is joined in many parts
+        spread = fitted.withColumn("_part", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))))
+        met = named.withColumn(salt, F.col(draw) % SALTS).join(spread, (own == F.col("_margins")) & (F.col(salt) == F.col("_part")), "left")
     return met.select(
-        *[F.col(f"`{c}`") for c in docs.columns if c not in taken], F.col("_topic").alias("topic"), F.col("_tokens").alias("n_tokens"),
-        F.col("_chance").alias("probability"), (drawn < F.col("_chance")).alias("kept"),
+        *[F.col(f"`{c}`") for c in back], F.col(at)["topic"].alias("topic"), F.col(at)["tokens"].alias("n_tokens"),
+        F.col(chance).alias("probability"), (F.col(draw).cast("double") / F.lit(float(1 << 40)) < F.col(chance)).alias("kept"),
     )

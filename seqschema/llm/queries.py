@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from seqschema.llm import bpe, exact_dedup, lm_scoring, mixing, ngram_tables, pii, quality_rules, simhash, token_counts, token_files, url_filters
 from seqschema.llm.common import documents
@@ -54,8 +53,7 @@ def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text", "lang", "source")
-    mixed = mixing.mix_documents(docs)
-    return mixed.select("doc_id", "source", "lang", F.col("topic"), "n_tokens", "probability", "kept")
+    return mixing.mix_documents(docs, keep=["doc_id", "source", "lang"])
 
 
 QUERIES = {f.__name__: f for f in (op1_url_filters, op2_bpe_round_trip, op3_personal_data, op4_lm_scoring, op5_token_counts, op6_token_files, op7_exact_dedup, op8_quality_rules, op9_simhash_near_dedup, op10_mixing)}
