@@ -170,9 +170,17 @@ def test_exact_groups(docs, texts):
 def test_chunks_rebuild_the_text_and_clashing_numbers_are_told_apart(spark, docs):
     cut = docs.select(F.coalesce("text", F.lit("")).alias("t")).withColumn("c", exact_dedup.chunks(F.col("t"), 8, 40))
     assert all("".join(r["c"]) == r["t"] and all(len(x) <= 40 for x in r["c"]) for r in cut.collect())
-    rec = spark.createDataFrame([(1, "s1", [5, 6], [b"a", b"b"]), (2, "s2", [5], [b"z"]), (3, "s3", [6], [b"b"])], "doc_id bigint, text_sha256 string, numbers array<bigint>, digests array<binary>")
-    lists = {r["doc_id"]: r["recipe"] for r in exact_dedup.verified(rec).collect()}
-    assert lists == {1: ["61", "62"], 2: ["7A"], 3: ["6"]}
+    rec = spark.createDataFrame([(1, "s1", [5, 6], [b"a", b"b"]), (2, "s2", [5], [b"z"]), (3, "s3", [6], [b"b"]), (3, "s3", [6], [b"b"]), (None, "s4", [6, 5, 5], [b"b", b"z", b"a"])], "doc_id bigint, text_sha256 string, numbers array<bigint>, digests array<binary>")
+    lists = {r["doc_id"]: (r["numbers"], [bytes(x) for x in r["told"]]) for r in exact_dedup.verified(rec).collect()}
+    assert lists == {1: ([5, 6], [b"a"]), 2: ([5], [b"z"]), 3: ([6], []), None: ([6, 5, 5], [b"z", b"a"])}
+
+
+def test_text_without_spaces_is_cut_by_content(spark):
+    rnd = random.Random(21)
+    body = "".join(rnd.choice("abcdefghijklmnopqrstuvwxyz0123456789") for _ in range(30_000))
+    rows = spark.createDataFrame([(0, body), (1, "shifted" + body), (2, "".join(rnd.choice("丁七万一天地玄黄") for _ in range(9000)))], "i int, t string")
+    got = {r["i"]: r["c"] for r in rows.select("i", exact_dedup.chunks(F.col("t")).alias("c")).collect()}
+    assert len(set(got[0]) & set(got[1])) > len(got[0]) // 2 and all(len(c) < 4096 for cs in got.values() for c in cs[:-1])
 
 
 def test_repeated_rows_and_null_ids(spark):
@@ -228,6 +236,51 @@ def test_quality_ratio_matches_plain_counts(docs, labels, texts):
     assert (tables["raw"] == want[0]).all() and (tables["trusted"] == want[1]).all()
 
 
+def test_quality_ratio_and_threshold_without_a_documents_own_counts(docs, labels, texts):
+    import math
+    from collections import Counter
+
+    flagged = ngram_tables.trusted_flag(docs, labels)
+    good = {r["doc_id"] for r in flagged.where("_trusted").collect()}
+    got = by_id(quality_rules.judge(flagged, "_trusted"))
+    feats = {k: Counter(x for f in quality_rules.features(t) for x in f.tolist()) for k, t in texts.items()}
+    size, ratios = 1 << quality_rules.BITS, {}
+    raw, trusted = Counter(), Counter()
+    for k, own in feats.items():
+        raw.update(own)
+        trusted.update(own if k in good else {})
+    n_raw, n_trusted = sum(raw.values()), sum(trusted.values())
+    for k, own in feats.items():
+        if n := sum(own.values()):
+            less, n_less, total = (own, n, 0.0) if k in good else (Counter(), 0, 0.0)
+            for f, times in own.items():
+                p = (raw[f] - times + 1) / (n_raw - n + size)
+                q = (trusted[f] - less[f] + size * p) / (n_trusted - n_less + size)
+                total += times * math.log(q / p)
+            ratios[k] = total / n
+    own = [ratios[k] for k in good if k in ratios]
+    mean = sum(own) / len(own)
+    limit = mean - quality_rules.SPREAD * max(1e-6, sum(x * x for x in own) / len(own) - mean * mean) ** 0.5
+    for k, r in got.items():
+        assert r["ratio"] == (pytest.approx(ratios[k], abs=1e-8) if k in ratios else None)
+        assert r["kept"] == (not r["base_failed"] and ratios[k] >= limit)
+    long = texts[0] * 3000
+    assert [x.tolist() for x in quality_rules.own_counts(long)] == [list(x) for x in zip(*sorted(Counter(x for f in quality_rules.features(long) for x in f.tolist()).items()))]
+
+
+@pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
+def test_quality_rejects_no_more_clean_documents_in_a_small_corpus(spark, sf):
+    """Held out: the half of the labels that the models do not see. Good and unlabelled ones stay, bad ones go (a corpus
+    of a thousand documents has too few counts to tell those)."""
+    top = f"/root/testdata/{sf}"
+    labels = spark.read.parquet(f"{top}/labels.parquet")
+    seen = labels.where(F.pmod(F.xxhash64("doc_id"), F.lit(2)) == 0)
+    docs = spark.read.parquet(f"{top}/documents.parquet").select("doc_id", "text")
+    judged = quality_rules.judge(ngram_tables.trusted_flag(docs, seen), "_trusted").where("NOT base_failed").join(labels, "doc_id", "left").join(seen.select("doc_id", F.lit(1).alias("seen")), "doc_id", "left")
+    rate = {r["q"]: r["k"] for r in judged.where("seen IS NULL").groupBy(F.coalesce("quality", F.lit(-1)).alias("q")).agg(F.avg(F.col("kept").cast("double")).alias("k")).collect()}
+    assert rate[1] > 0.99 and rate[-1] > 0.9 and (sf == "sf0.01" or rate[0] < 0.02), rate
+
+
 def test_word_numbers_do_not_depend_on_parts():
     text = ("some words \t of\x0bany size " * 50).encode()
     one = [x for n in ngram_tables.word_numbers(text) for x in n.tolist()]
@@ -466,6 +519,38 @@ def test_every_trusted_document_counts_beyond_the_bound(spark):
     assert sorted(map(repr, ngram_tables.trusted_flag(docs, labels, bound=5).collect())) == plain and sum("True" in x for x in plain) == 34
 
 
+def test_drawn_tokens_meet_the_margins(spark):
+    rnd = random.Random(31)
+    rows = [(i, "w " * rnd.randrange(1, 60), rnd.choice("aaaab"), rnd.choice("xxy"), "mine") for i in range(30_000)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, _cell string")
+    targets = {"lang": {"a": 0.5, "b": 0.5}, "source": {"x": 0.4, "y": 0.6}}
+    found = mixing.mix_documents(df, targets=targets, share=0.2)
+    most, mixing.BROADCAST_CELLS = mixing.BROADCAST_CELLS, 0
+    try:
+        assert sorted(map(tuple, mixing.mix_documents(df, targets=targets, share=0.2).collect())) == sorted(map(tuple, found.collect()))
+    finally:
+        mixing.BROADCAST_CELLS = most
+    narrow = mixing.mix_documents(df, targets=targets, share=0.2, keep=["doc_id"])
+    assert sorted(map(tuple, narrow.collect())) == sorted((r["doc_id"], r["topic"], r["n_tokens"], r["probability"], r["kept"]) for r in found.collect())
+    drawn = [r for r in found.collect() if r["kept"]]
+    assert {r["_cell"] for r in drawn} == {"mine"}
+    total = sum(r["n_tokens"] for r in drawn)
+    assert total == pytest.approx(sum(r["probability"] * r["n_tokens"] for r in found.collect()), rel=0.03) and total > 0.19 * sum(len(t) // 2 for _, t, *_ in rows)
+    for column, goal in targets.items():
+        for value, part in goal.items():
+            assert sum(r["n_tokens"] for r in drawn if r[column] == value) / total == pytest.approx(part, abs=0.02)
+
+
+def test_private_column_names_stay_the_users(spark):
+    rnd = random.Random(32)
+    base = [" ".join(f"{rnd.choice('abcdefgh')}{rnd.randrange(10**6)}" for _ in range(60)) for _ in range(4)]
+    rows = [(1, base[0], "k1", {"a": 1}), (1, base[0].upper(), "k2", {"a": 2}), (2, base[1], "k3", None), (None, base[2], None, None), (None, base[3], "k4", None)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, _key string, _NTH map<string,int>")
+    for keep in (exact_dedup.drop_exact_copies, simhash.keep_first):
+        got = sorted(map(tuple, keep(df).collect()), key=repr)
+        assert len(got) == 4 and all(r in rows for r in got) and got == sorted(map(tuple, keep(df.repartition(4)).collect()), key=repr)
+
+
 def test_a_tiny_cell_takes_nothing_from_the_others(spark):
     cells = [("a", "x", "p", 6_000_000, 0.55), ("b", "x", "p", 4_000_000, 0.44), ("stray", "x", "p", 60, 0.01)]
     df = spark.createDataFrame(cells, "_source string, _lang string, _topic string, tokens bigint, weight double")
