@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from seqschema.functions import counting, solver
 from seqschema.functions.solver import LEARNERS, Summary
 from seqschema.operators import strings as st
+from seqschema.operators.stored import stored
 
 GROUPS = "array<struct<chains:array<array<struct<sym:string,op:string>>>,opt:boolean>>"
 MODELS = f"model_key string, learner string, expr string, groups {GROUPS}, n_symbols int, n_strings bigint, n_distinct bigint, n_groups int, n_repairs int"
@@ -76,13 +77,13 @@ def learn_by_sampling(strings: DataFrame, percent: int, checked, rounds: int = 1
     """Learn on a hashed share of the strings, test all, add the rejected ones, until none is left: cheap scans instead
     of a heavy one; ends because summaries only grow. checked(strings, models) gives strings with a column ok."""
     share = F.pmod(F.xxhash64("model_key", "seq"), F.lit(100)) < percent
-    summary = st.summarise(strings.where(share))
+    summary = stored(st.summarise(strings.where(share)), "summary")
     for _ in range(rounds):
-        models = learn(summary)
+        models = stored(learn(summary), "models")
         rejected = checked(strings, models).where("NOT ok").select("model_key", "string_id", "seq")
         if rejected.isEmpty():
             return models
-        summary = st.merge_summaries(summary, st.summarise(rejected))
+        summary = stored(st.merge_summaries(summary, st.summarise(rejected)), "summary")
     return learn(st.summarise(strings))
 
 
@@ -114,7 +115,7 @@ def compare_learners(strings: DataFrame, learners=("level_chain", "outer_shuffle
     """All learners on one summary, with measures, rank by language size and the ratio to the smallest in log2."""
     from pyspark.sql import Window as W
 
-    summary = st.summarise(strings)
+    summary = stored(st.summarise(strings), "summary")  # read by the learners and by the measures
     got = measure(learn(summary, learners), summary)
     own = W.partitionBy("model_key")
     return got.withColumn("rank", F.rank().over(own.orderBy("ls_log2"))).withColumn("log2_ratio", F.col("ls_log2") - F.min("ls_log2").over(own))

@@ -5,12 +5,11 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write a table and read it again: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
+def shared_dir(spark: SparkSession) -> str:
+    """The session's spark.checkpoint.dir or checkpoint folder; only a local master may go without."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         at = spark.sparkContext._jsc.sc().getCheckpointDir()
@@ -20,6 +19,12 @@ def stored(df: DataFrame, name: str) -> DataFrame:
             raise ValueError("spark.checkpoint.dir is not set: a cluster needs a folder that all executors share")
         named = tempfile.mkdtemp(prefix="shared-")
         spark.sparkContext.setCheckpointDir(named)
-    path = f"{named.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return named.rstrip("/")
+
+
+def stored(df: DataFrame, name: str) -> DataFrame:
+    """Write a table and read it again: cuts the lineage and survives lost executors."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -47,6 +49,15 @@ def draw_column(key, p):
     return F.floor(x / 1024).cast("bigint")
 
 
+#: Strings of the corpora.
+SIZES = {"astro": 2_435, "thesis": 63_420, "doc": 1_719_728, "web": 2_000_226}
+
+
+@functools.lru_cache(maxsize=256)
+def _chains(shape: str) -> list:
+    return [[[(sym, *{"1": (1, 1), "?": (0, 1), "*": (0, 2), "+": (1, 2)}[op]) for sym, op in chain] for chain in chains] for chains, _ in to_groups(parse_expr(shape))]
+
+
 def planted(key: int, shape: str) -> list[str]:
     """The string of a key: counts for every symbol by group and chain, then chains interleaved by draws."""
     at, out = 0, []
@@ -56,12 +67,11 @@ def planted(key: int, shape: str) -> list[str]:
         at += 1
         return draw(key, at - 1) % n
 
-    for chains, _ in to_groups(parse_expr(shape)):
+    for chains in _chains(shape):
         rows = []
         for chain in chains:
             row: list[str] = []
-            for sym, op in chain:
-                low, high = {"1": (1, 1), "?": (0, 1), "*": (0, 2), "+": (1, 2)}[op]
+            for sym, low, high in chain:
                 row += [sym] * (low if low == high else low + next_draw(high - low + 1))
             rows.append(row)
         while any(rows):
@@ -70,8 +80,9 @@ def planted(key: int, shape: str) -> list[str]:
     return out
 
 
-def planted_strings(keys: DataFrame, key_col: str, shapes: dict[str, str] | None = None) -> DataFrame:
-    """(model_key, string_id, seq) for each key and shape."""
+def planted_strings(keys: DataFrame, key_col: str, shapes: dict[str, str] | None = None, sizes: dict[str, int] | None = None, least: int = 300) -> DataFrame:
+    """(model_key, string_id, seq) for each key and shape. sizes: strings of the corpora; the largest gets all keys, the
+    others their share of them by a draw, but about `least` strings where there are as many keys."""
     shapes = shapes or SHAPES
 
     @F.pandas_udf("array<string>")
@@ -80,6 +91,10 @@ def planted_strings(keys: DataFrame, key_col: str, shapes: dict[str, str] | None
 
     pairs = F.array(*[F.struct(F.lit(n).alias("name"), F.lit(s).alias("shape")) for n, s in shapes.items()])
     rows = keys.select(F.col(key_col).cast("bigint").alias("string_id"), F.explode(pairs).alias("s"))
+    if sizes:
+        most, n_keys = max(sizes.values()), max(1, keys.count())
+        part = F.create_map(*[F.lit(x) for n in shapes for x in (n, max(sizes[n], most * least // n_keys))])
+        rows = rows.where(draw_column(F.col("string_id"), F.lit(999).cast("bigint")) % most < part[F.col("s.name")])
     return rows.select(F.col("s.name").alias("model_key"), "string_id", make("string_id", "s.shape").alias("seq"))
 
 

@@ -41,17 +41,23 @@ def xml_pattern(e, known: set[str]) -> str:
 
 def to_relaxng(models: DataFrame, form: str = "compact") -> DataFrame:
     """(model_key, text): one definition for each model."""
-    names = models.agg(F.collect_set("model_key").alias("names"))  # element names of one schema
+    @F.pandas_udf("array<string>")
+    def used(texts: pd.Series) -> pd.Series:
+        return pd.Series([sorted(set(symbols(parse_expr(t)))) for t in texts])
+
+    # of a model's symbols, those that have a definition of their own
+    own = models.select("model_key", F.explode(used("expr")).alias("sym")).join(models.select(F.col("model_key").alias("sym")).distinct(), "sym", "left_semi")
+    names = own.groupBy("model_key").agg(F.collect_set("sym").alias("names"))
 
     @F.pandas_udf("string")
     def emit(keys: pd.Series, texts: pd.Series, known: pd.Series) -> pd.Series:
         out = []
         for key, text, own in zip(keys, texts, known, strict=True):
-            e, own = parse_expr(text), set(own)
+            e, own = parse_expr(text), set() if own is None else set(own)
             out.append(f"e.{key} = element {key} {{ {compact(e, own)} }}" if form == "compact" else f'<define xmlns="{NAMESPACE}" name="e.{key}"><element name="{key}">{xml_pattern(e, own)}</element></define>')
         return pd.Series(out)
 
-    return models.join(F.broadcast(names)).select("model_key", emit("model_key", "expr", "names").alias("text"))
+    return models.join(names, "model_key", "left").select("model_key", emit("model_key", "expr", "names").alias("text"))
 
 
 def _local(tag: str) -> str:

@@ -24,6 +24,7 @@ SOME = [
     "never_together_line_kind", "components_roles", "automaton_line_kind", "contracted_sorted_flags", "levels_roles", "model_roles", "model_sorted_flags", "all_shuffle_flags", "universal_priority", "universal_size_flags",
     "coverage_line_kind", "model_example", "measures_example", "merge_equals_batch", "chunked_equals_whole", "stream_equals_batch", "planted_draws", "usage_proportions", "relaxng_round_trip", "tumbling_models",
     "usage_cube", "class_flags_examples", "validate_roles", "sliding_models",
+    "coverage_fixed_models", "violations_fixed_model", "coverage_learners_roles", "chain_factor_sorted_flags", "compare_learners_roles", "holdout_curve", "published_xml_strings", "shape_measures", "automaton_example", "levels_example",
 ]
 
 
@@ -94,6 +95,27 @@ def test_validation_agrees_with_derivatives(spark):
     assert va.validate(strings(spark, [["a"]], "other"), model).first()["reason"] == "no model"
 
 
+def test_validation_of_every_learner_agrees_with_derivatives(spark):
+    rnd = random.Random(17)
+    seqs = [[rnd.choice("abcd") for _ in range(rnd.randrange(5))] for _ in range(60)]
+    s = strings(spark, seqs)
+    models = ln.learn(st.summarise(s.where("string_id < 4")), [*solver.LEARNERS])
+    texts = {r["learner"]: r["expr"] for r in models.collect()}
+    got = va.validate(s, models).collect()
+    assert len(got) == len(seqs) * len(texts) == 60 * 7
+    for r in got:
+        assert r["ok"] == (r["reason"] is None) == expr.matches_general(r["seq"], expr.parse_expr(texts[r["learner"]])), r
+    assert {r["reason"] for r in got} >= {None, "unknown", "no match"} or {r["reason"] for r in got} >= {None, "no match"}
+    one = ln.learn(st.summarise(strings(spark, [["a", "b"], ["c", "d"]])), {"level_chain": {"same_level": "choice"}})
+    assert [r["coverage"] for r in va.coverage(strings(spark, [["a", "b"], ["c", "d"]]), one).collect()] == [1.0]
+
+
+def test_planted_sizes_are_shares(spark):
+    keys = spark.range(5000).withColumnRenamed("id", "k")
+    got = {r["model_key"]: r["count"] for r in planted.planted_strings(keys, "k", sizes=planted.SIZES, least=100).groupBy("model_key").count().collect()}
+    assert got["web"] == 5000 and abs(got["doc"] - 4300) < 150 and 50 < got["astro"] < 160 and 90 < got["thesis"] < 240
+
+
 def test_markup_modes():
     text = "<html><body><p><b>x<br><p>y</p><p>z</p><ul><li>1<li>2</ul></body></html>"
     nested = {t: s for t, s, _ in markup.html_elements(text, False) if t in ("b", "body")}
