@@ -1,22 +1,27 @@
 """Personal data by exact base patterns and a semi-Markov conditional random field over whole spans.
 
 The base patterns (email, ip, card, phone) are exact and always stay. The model then looks for spans the patterns miss:
-obfuscated addresses, national phone forms, other card lengths, long IP addresses. Generators propose candidate segments
-with a type; each segment has features of the whole span and its surroundings; a segmentation scores the sum of its
-segments' weights, and text outside of segments scores zero. Decoding is dynamic programming over segment borders that
-chooses the best set of segments without overlaps, boundaries and types together. Segments are at most MAX_SPAN long, so
-the work is linear in the text. Base spans are fixed segments that others must not touch.
-
-Weights are fitted by gradient on the exact log-likelihood (forward sums over the same lattice) of sentences made by a
-seeded generator, positives and look-alikes; there is no labelled personal data in the tables.
+spoken addresses, national phone forms, other card lengths, long IP addresses, and secrets (passwords, keys, tokens) behind
+a name and a separator. Around every anchor (a digit, a spoken at, a name of a secret) all segments of whole parts compete: a
+run of digit groups offers each of its stretches as a phone and as a card, a spoken address each number of parts on both
+sides, a secret each place where its value may end. A segment has features of the whole span, of what stands beside it and of
+whether it could go on; a segmentation scores the sum of its segments' weights, and text outside of segments scores zero.
+Decoding is dynamic programming over segment borders that chooses the best set of segments without overlaps, boundaries and
+types together. A segment has at most MAX_SPAN characters and each place starts a bounded number of them, so the work is
+linear in the text. Base spans are fixed segments that others must not touch.
+
+Weights are fitted by gradient on the exact log-likelihood (forward and backward sums over the same lattice) of sentences
+made by a seeded generator, positives and look-alikes; there is no labelled personal data in the tables.
 
 Defined results: null counts as the empty text, without spans. Repeated rows each get their own row.
 """
 
 from __future__ import annotations
 
+import bisect
 import functools
 import hashlib
+import itertools
 import math
 import random
 import re
@@ -30,13 +35,14 @@ from seqschema.llm.common import append_columns
 
 KINDS = ("email", "ip", "card", "phone")
 MAX_SPAN, CONTEXT = 128, 24
+QUOTES = ("'", '"')
 
 LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 DOMAIN = re.compile(r"[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+")
 IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 CARD = re.compile(r"[0-9](?:[ -]?[0-9])++")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
-NOT_DIGIT = re.compile(r"[^0-9]+")
+NOT_DIGIT, DIGIT = re.compile(r"[^0-9]+"), re.compile("[0-9]")
 
 Span = tuple[int, int, str]
 
@@ -80,82 +86,132 @@ def base_spans(text: str) -> list[Span]:
     return out
 
 
-#: Candidate generators for what the base patterns miss; every one begins with a rare character class.
-AT = r"(?: ?\((?:at|AT)\) ?| ?\[(?:at|AT)\] ?| at )"
-DOT = r"(?: ?\((?:dot|DOT)\) ?| ?\[(?:dot|DOT)\] ?| dot |\.)"
-SPOKEN = re.compile(rf"{AT}[A-Za-z0-9-]{{1,40}}(?:{DOT}[A-Za-z0-9-]{{1,20}}){{1,3}}")
-ANCHORS = (" at ", "(at)", "[at]", "(AT)", "[AT]")
-DIGIT = re.compile("[0-9]")
-NATIONAL = re.compile(r"(?:\([0-9]{2,4}\) ?|(?<![0-9.])[0-9]{3}[-. ]|(?<![0-9.])00[0-9]{1,3}[ -][0-9]{2,4}[ -])[0-9]{3}[-. ]?[0-9]{4}(?![0-9])")
-SHORT_CARD = re.compile(r"(?<![0-9])3[0-9]{3}[ -]?[0-9]{6}[ -]?[0-9]{4,5}(?![0-9])")
-LONG_IP = re.compile(r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])")
+#: Kinds of the model beside the base ones, in the order of the list.
+ALL_KINDS = (*KINDS, "secret")
+GROUP, GAP = re.compile("[0-9]+"), re.compile(r"[ ().-]{1,2}")
+MOST_DIGITS, MOST_GROUPS, MOST_PARTS = 19, 6, 4
+#: Spoken marks, and the parts of an address on both sides of the at.
+AT = re.compile(r" ?[(\[](?:at|AT)[)\]] ?| at ")
+DOT = r"(?: ?[(\[](?:dot|DOT)[)\]] ?| dot |\.)"
+RIGHT, LEFT = re.compile(rf"[A-Za-z0-9-]{{1,63}}(?:{DOT}[A-Za-z0-9-]{{1,63}}){{1,{MOST_PARTS}}}"), re.compile(rf"(?:[A-Za-z0-9_%+-]{{1,64}}{DOT}){{0,{MOST_PARTS}}}[A-Za-z0-9_%+-]{{1,64}}\Z")
+DOT_AT = re.compile(DOT)
+LONG_IP = re.compile(r"(?<![0-9A-Fa-f:])(?:[0-9A-Fa-f]{1,4}:{1,2}){3,7}[0-9A-Fa-f]{1,4}(?![0-9A-Fa-f:])")
+NAMED = re.compile(r"(?i:password|passwd|passphrase|secret|token|api[ _-]?key|access[ _-]?key|credential)s?[\"']?(?: ?(?:[:=]|=>|is) ?)([\"']?)")
+VALUE, VALUE_END = re.compile(r"[^\s\"'<>]{4,128}"), re.compile(r"[^A-Za-z0-9_-]+")
+#: What a text holds, in these cases, if a pattern above matches: tested first, for most texts hold none.
+SPOKEN, NAMES = (" at ", "(at)", "[at]", "(AT)", "[AT]", "(at]", "[at)", "(AT]", "[AT)"), ("passw", "passphrase", "secret", "token", "key", "credential")
 CUES = {
     "email": ("mail", "contact", "write", "reach", "e-mail"),
     "ip": ("ip", "host", "server", "address", "ipv6"),
     "card": ("card", "visa", "amex", "credit", "pay"),
-    "phone": ("phone", "tel", "call", "fax", "mobile", "cell", "dial"),
+    "phone": ("phone", "tel", "call", "fax", "mobile", "cell", "dial", "ring"),
+    "secret": ("password", "passwd", "secret", "token", "key", "credential"),
 }
-AGAINST = ("version", "order", "isbn", "invoice", "ref", "no", "id", "serial", "part", "section", "page", "item")
+AGAINST = ("version", "order", "isbn", "invoice", "ref", "no", "id", "serial", "part", "section", "page", "item", "ticket", "case")
+
+
+def digit_candidates(text: str) -> Iterator[Span]:
+    """Stretches of at most MOST_GROUPS neighbouring digit groups, as a phone and as a card."""
+    groups = [m.span() for m in GROUP.finditer(text)]
+    for i, (start, _) in enumerate(groups):
+        if start and (text[start - 1].isalnum() or text[start - 1] == "_"):
+            continue
+        size = 0
+        for j in range(i, min(i + MOST_GROUPS, len(groups))):
+            if j > i and not GAP.fullmatch(text, groups[j - 1][1], groups[j][0]):
+                break
+            size += groups[j][1] - groups[j][0]
+            if size > MOST_DIGITS:
+                break
+            end = groups[j][1]
+            for begin in (start, start - 1) if start and text[start - 1] in "(+" else (start,):
+                if 7 <= size <= 15:
+                    yield begin, end, "phone"
+                if size >= 12:
+                    yield begin, end, "card"
+
+
+def spoken_candidates(text: str) -> Iterator[Span]:
+    if not any(x in text for x in SPOKEN):
+        return
+    for at in AT.finditer(text):
+        right = RIGHT.match(text, at.end())
+        left = LEFT.search(text, max(0, at.start() - MAX_SPAN // 2), at.start())
+        if right and left:
+            starts = [left.start(), *(m.end() for m in DOT_AT.finditer(text, left.start(), at.start()))]
+            ends = [*(m.start() for m in DOT_AT.finditer(text, right.start(), right.end())), right.end()][1:]
+            yield from ((a, b, "email") for a in starts for b in ends)
+
+
+def secret_candidates(text: str) -> Iterator[Span]:
+    low = text.lower()
+    if not any(x in low for x in NAMES):
+        return
+    for name in NAMED.finditer(text):
+        if value := VALUE.match(text, name.end()):
+            ends = [m.start() for m in VALUE_END.finditer(text, value.start() + 1, value.end())][:MOST_PARTS]
+            yield from ((value.start(), b, "secret") for b in dict.fromkeys([*ends, value.end()]) if b - value.start() >= 4)
 
 
 def candidates(text: str) -> list[Span]:
-    out: list[Span] = []
-    for anchor in ANCHORS:
-        at = text.find(anchor)
-        while at >= 0:
-            begin = at - 1 if at and anchor[0] != " " and text[at - 1] == " " else at
-            if m := SPOKEN.match(text, begin):
-                start = begin
-                while start > max(0, begin - 40) and text[start - 1] in LOCAL:
-                    start -= 1
-                if start < begin:
-                    out.append((start, m.end(), "email"))
-            at = text.find(anchor, at + 1)
-    if not DIGIT.search(text):
-        return out
-    for m in NATIONAL.finditer(text):
-        out += [(*m.span(), "phone"), (*m.span(), "card")]
-    out += [(*m.span(), "card") for m in SHORT_CARD.finditer(text)]
-    out += [(*m.span(), "ip") for m in LONG_IP.finditer(text)] if text.count(":") >= 7 else []
-    return [s for s in out if s[1] - s[0] <= MAX_SPAN]
+    out = [*spoken_candidates(text), *secret_candidates(text)]
+    if DIGIT.search(text):
+        out += digit_candidates(text)
+    if text.count(":") >= 3:
+        out += ((*m.span(), "ip") for m in LONG_IP.finditer(text))
+    return [s for s in dict.fromkeys(out) if s[1] - s[0] <= MAX_SPAN]
 
 
 def features(text: str, span: Span) -> list[str]:
-    """Of the whole span: its make-up, its edges, and cue words just before it."""
+    """Of the whole span: its make-up and shape; of its surroundings: cue words before it, what stands beside it, and
+    whether it could go on."""
     start, end, kind = span
     body = text[start:end]
     digits = NOT_DIGIT.sub("", body)
     before = re.split(r"[^a-z0-9-]+", text[max(0, start - CONTEXT) : start].lower())
-    out = ["any", f"digits{min(len(digits), 20) // 2}"]
+    left, right = text[start - 1 : start], text[end : end + 1]
+    sizes = [len(x) for x in GROUP.findall(body)]
+    marks = set(NOT_DIGIT.findall(body)) if kind in ("phone", "card") else set()
+    cue, against = any(w.startswith(c) for w in before for c in CUES[kind]), any(w in AGAINST for w in before)
+    more_left = bool(re.search(r"[0-9][ ().-]{1,2}\(?\Z", text[max(0, start - 4) : start]))
+    more_right = bool(re.match(r"[ ().-]{1,2}[0-9]", text[end : end + 3]))
+    out = ["any", f"digits{min(len(digits), 20)}" if kind in ("phone", "card") else f"length{min(end - start, 64) // 8}"]
+    if kind in ("phone", "card"):
+        out += [f"shape{'-'.join(map(str, sizes[:5]))}", f"marks{len(marks)}"]
     out += [name for name, on in (
-        ("cue", any(w.startswith(c) for w in before for c in CUES[kind])), ("against", any(w in AGAINST for w in before)),
-        ("luhn", len(digits) >= 13 and luhn(digits)), ("bracket", body[0] == "(" or "(at)" in body or "[at]" in body), ("spoken", " dot " in body or "(dot)" in body or "[dot]" in body),
-        ("plain_at", " at " in body), ("dashes", body.count("-") == 2), ("dots", body.count(".") >= 2), ("colons", body.count(":") == 7), ("spaces", body.count(" ") >= 2), ("joined", digits == body),
-        ("edge", (start > 0 and text[start - 1].isalnum()) or (end < len(text) and text[end].isalnum())),
+        ("cue", cue), ("against", against), ("bare", not cue and not against), ("luhn", len(digits) >= 13 and luhn(digits)), ("open", body[0] == "("), ("plus", body[0] == "+"), ("unopened", left == "(" or ")" in body and "(" not in body),
+        ("spoken", " dot " in body or "(dot)" in body or "[dot]" in body), ("plain_at", " at " in body), ("colons", body.count(":") == 7), ("joined", digits == body),
+        ("edge", left.isalnum() or right.isalnum() or left in ("_", "-") and left != ""), ("more_left", more_left), ("more_right", more_right), ("more_dot", kind == "email" and bool(DOT_AT.match(text, end))),
+        ("quoted", left in ("'", '"') and left != "" and left == right), ("mixed", bool(digits) and any(c.isalpha() for c in body)), ("hex", len(body) >= 16 and all(c in "0123456789abcdefABCDEF" for c in body)),
+        ("word", body.isalpha()), ("inner", VALUE_END.search(body) is not None), ("last", not right or right.isspace() or right in "\"',;.!?)#*$%&|"), ("said", text[max(0, start - 4) : start].strip().endswith("is")),
     ) if on]
     return [f"{kind}:{x}" for x in out]
 
 
-def decode(spans: list[Span], scores: list[float]) -> list[Span]:
-    """The best set of spans without overlaps: best score up to each span border, with the span that ends there."""
+def lattice(spans: list[Span]) -> tuple[list[int], dict[int, int], list[list[int]], list[list[int]]]:
+    """Borders in order, their places, and the spans that end and start at each."""
     borders = sorted({0, *(x for s in spans for x in s[:2])})
-    ends: dict[int, list[int]] = {}
+    place = {b: i for i, b in enumerate(borders)}
+    ends: list[list[int]] = [[] for _ in borders]
+    starts: list[list[int]] = [[] for _ in borders]
     for k, s in enumerate(spans):
-        ends.setdefault(s[1], []).append(k)
-    best: dict[int, tuple[float, int]] = {}
-    before = borders[0]
-    for b in borders:
-        top = (best[before][0] if b else 0.0, -1)
-        for k in ends.get(b, ()):
-            if (score := best[spans[k][0]][0] + scores[k]) > top[0]:
-                top = (score, k)
-        best[b], before = top, b
+        starts[place[s[0]]].append(k)
+        ends[place[s[1]]].append(k)
+    return borders, place, ends, starts
+
+
+def decode(spans: list[Span], scores: list[float]) -> list[Span]:
+    """The best set of spans without overlaps: best score up to each span border, with the span that ends there."""
+    borders, place, ends, _ = lattice(spans)
+    best = [(0.0, -1)] * len(borders)
+    for i in range(1, len(borders)):
+        best[i] = max([(best[i - 1][0], -1), *((best[place[spans[k][0]]][0] + scores[k], k) for k in ends[i])], key=lambda x: x[0])
     out, at = [], len(borders) - 1
     while at > 0:
-        k = best[borders[at]][1]
+        k = best[at][1]
         if k >= 0:
             out.append(spans[k])
-            at = borders.index(spans[k][0])
+            at = place[spans[k][0]]
         else:
             at -= 1
     return out[::-1]
@@ -163,8 +219,7 @@ def decode(spans: list[Span], scores: list[float]) -> list[Span]:
 
 def marginals(spans: list[Span], scores: list[float]) -> list[float]:
     """The probability of each span under the model: forward and backward sums over the lattice of borders."""
-    borders = sorted({0, *(x for s in spans for x in s[:2])})
-    place = {b: i for i, b in enumerate(borders)}
+    borders, place, ends, starts = lattice(spans)
     fore, back = [0.0] * len(borders), [0.0] * len(borders)
 
     def log_add(values: list[float]) -> float:
@@ -172,9 +227,9 @@ def marginals(spans: list[Span], scores: list[float]) -> list[float]:
         return top + math.log(sum(math.exp(v - top) for v in values))
 
     for i in range(1, len(borders)):
-        fore[i] = log_add([fore[i - 1], *(fore[place[s[0]]] + w for s, w in zip(spans, scores, strict=True) if s[1] == borders[i])])
+        fore[i] = log_add([fore[i - 1], *(fore[place[spans[k][0]]] + scores[k] for k in ends[i])])
     for i in range(len(borders) - 2, -1, -1):
-        back[i] = log_add([back[i + 1], *(back[place[s[1]]] + w for s, w in zip(spans, scores, strict=True) if s[0] == borders[i])])
+        back[i] = log_add([back[i + 1], *(back[place[spans[k][1]]] + scores[k] for k in starts[i])])
     return [math.exp(fore[place[s[0]]] + w + back[place[s[1]]] - fore[-1]) for s, w in zip(spans, scores, strict=True)]
 
 
@@ -201,8 +256,20 @@ def examples(seed: int, number: int) -> list[tuple[str, set[Span]]]:
             ("", rnd.choice(["part ", "id ", ""]), f"3{some(14)}"),
             ("", "", f"{word()} at {word()}.{word()}"),
             ("", rnd.choice(["section ", "version ", ""]), f"{some(3)}.{some(3)}.{some(4)}"),
+            ("phone", rnd.choice(["call ", "fax ", "cell ", "tel "]), f"{some(2)}{sep}{some(rnd.choice([3, 4]))}{sep}{some(4)}"),
+            ("phone", rnd.choice(["call ", "phone ", ""]), f"({some(3)}) {some(3)} {some(4)}"),
+            ("email", rnd.choice(["mail ", ""]), f"{word()}{spoken[0]}{word()}{spoken[1]}co{spoken[1]}uk"),
+            ("", "", f"{some(1)} {some(2)} {some(1)} {some(2)} {some(3)}"),
+            ("", rnd.choice(["case ", "ticket "]), some(rnd.randrange(7, 14))),
+            ("", "", rnd.choice(["the secret is out", "a token of thanks", "the password is wrong", "tokens: many words", "secret: nobody knows"])),
+            secret(), secret(), secret(),
         ])
 
+    def secret() -> tuple[str, str, str]:
+        name = rnd.choice(["password", "token", "api_key", "secret", "API key", "access_key", "passwd"])
+        value = rnd.choice(["".join(rnd.choice("0123456789abcdef") for _ in range(rnd.choice([24, 32, 40]))), f"{word()}{some(3)}", f"{word().title()}-{some(4)}", "".join(rnd.choice("abcXYZ0189_") for _ in range(20))])
+        return "secret", f"{name}{rnd.choice([' = ', '=', ': ', ':'])}" + rnd.choice(['"', "'", ""]), value
+
     out = []
     for _ in range(number):
         text, gold = "", set()
@@ -211,7 +278,7 @@ def examples(seed: int, number: int) -> list[tuple[str, set[Span]]]:
             text += f"{word()} {word()} {lead}"
             if kind:
                 gold.add((len(text), len(text) + len(body), kind))
-            text += f"{body} {word()}. "
+            text += f"{body}{lead[-1:] if lead[-1:] in QUOTES else ''}{rnd.choice(['', '', '.', ',', '!!'])} {word()}. "
         out.append((text, gold))
     return out
 
@@ -222,7 +289,7 @@ def fit(seed: int = 5, number: int = 400, rounds: int = 12, step: float = 0.3, d
     weights: dict[str, float] = {}
     prepared = []
     for text, gold in examples(seed, number):
-        spans = list(dict.fromkeys(candidates(text)))
+        spans = candidates(text)
         prepared.append((spans, [features(text, s) for s in spans], [s in gold for s in spans]))
     for r in range(rounds):
         for spans, feats, right in prepared:
@@ -235,14 +302,20 @@ def fit(seed: int = 5, number: int = 400, rounds: int = 12, step: float = 0.3, d
 
 
 def added_spans(text: str, base: list[Span], weights: dict[str, float]) -> list[Span]:
-    spans = [s for s in dict.fromkeys(candidates(text)) if not any(s[0] < b[1] and b[0] < s[1] for b in base)]
+    """The model's spans beside the base ones."""
+    spans = candidates(text)
+    if base and spans:
+        # of all base spans that start before a candidate ends, does one end behind its start
+        fixed = sorted(s[:2] for s in base)
+        starts, reach = [a for a, _ in fixed], list(itertools.accumulate((b for _, b in fixed), max))
+        spans = [s for s in spans if not (k := bisect.bisect_left(starts, s[1])) or reach[k - 1] <= s[0]]
     if not spans:
         return []
     return decode(spans, [sum(weights.get(f, 0.0) for f in features(text, s)) for s in spans])
 
 
 def listed(spans: list[Span]) -> str:
-    return ",".join(f"{k}:{a}:{b}" for a, b, k in sorted(spans, key=lambda s: (KINDS.index(s[2]), s[0], s[1])))
+    return ",".join(f"{k}:{a}:{b}" for a, b, k in sorted(spans, key=lambda s: (ALL_KINDS.index(s[2]), s[0], s[1])))
 
 
 def find_personal_data(docs: DataFrame, text_col: str = "text", keep=("doc_id",)) -> DataFrame:
