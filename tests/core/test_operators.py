@@ -24,7 +24,7 @@ SOME = [
     "never_together_line_kind", "components_roles", "automaton_line_kind", "contracted_sorted_flags", "levels_roles", "model_roles", "model_sorted_flags", "all_shuffle_flags", "universal_priority", "universal_size_flags",
     "coverage_line_kind", "model_example", "measures_example", "merge_equals_batch", "chunked_equals_whole", "stream_equals_batch", "planted_draws", "usage_proportions", "relaxng_round_trip", "tumbling_models",
     "usage_cube", "class_flags_examples", "validate_roles", "sliding_models",
-    "coverage_fixed_models", "violations_fixed_model", "coverage_learners_roles", "chain_factor_sorted_flags", "compare_learners_roles", "holdout_curve", "published_xml_strings", "shape_measures", "automaton_example", "levels_example",
+    "coverage_fixed_models", "violations_fixed_model", "coverage_learners_roles", "chain_factor_sorted_flags", "compare_learners_roles", "published_xml_strings", "shape_measures", "automaton_example", "levels_example",
 ]
 
 
