@@ -94,7 +94,8 @@ def planted_strings(keys: DataFrame, key_col: str, shapes: dict[str, str] | None
     if sizes:
         most, n_keys = max(sizes.values()), max(1, keys.count())
         part = F.create_map(*[F.lit(x) for n in shapes for x in (n, max(sizes[n], most * least // n_keys))])
-        rows = rows.where(draw_column(F.col("string_id"), F.lit(999).cast("bigint")) % most < part[F.col("s.name")])
+        # a draw is below MODULUS / 1024
+        rows = rows.where(draw_column(F.col("string_id"), F.lit(999).cast("bigint")) * most < part[F.col("s.name")].cast("bigint") * (MODULUS // 1024))
     return rows.select(F.col("s.name").alias("model_key"), "string_id", make("string_id", "s.shape").alias("seq"))
 
 
