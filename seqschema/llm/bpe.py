@@ -29,10 +29,10 @@ from tokenizers import Tokenizer
 
 from seqschema.llm.common import append_columns
 
-#: The pretoken pattern of byte-level BPE, letters first, in the classes of Python's re. Characters that re
+#: The pretoken pattern of byte-level BPE, in the classes of Python's re. Characters that re
 #: and the tokenizer's own matcher put into different classes are found by a probe; texts that hold one go to the latter.
-PRETOKENS = r" ?[^\W\d_]+|'(?:s|t|re|ve|m|ll|d)| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
-ASCII_PRETOKENS = r" ?[A-Za-z]+|'(?:s|t|re|ve|m|ll|d)| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+"
+PRETOKENS = r"'(?:s|t|re|ve|m|ll|d)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
+ASCII_PRETOKENS = r"'(?:s|t|re|ve|m|ll|d)| ?[A-Za-z]+| ?[0-9]+| ?[^\t-\r A-Za-z0-9]+|[\t-\r ]+(?![^\t-\r ])|[\t-\r ]+"
 
 #: Distinct pretokens a worker remembers, the longest pretoken worth remembering, code points encoded at a time.
 CACHE_ENTRIES, CACHE_LENGTH, CUT = 250_000, 64, 1 << 20
