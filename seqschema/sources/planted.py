@@ -12,22 +12,22 @@ from seqschema.functions.expr import parse_expr, to_groups
 
 #: Ground-truth shapes by corpus, for the level-chain, outer-shuffle and bag learners.
 SHAPES = {
-    "astro": "s1 s2+ s3 s4+ s5 s6* (s10* & s7*) s8 s9",
-    "doc": "s1 s2 (s3? & s4* & s5*) s7* s6* s8?",
-    "web": "s1* s6? (s14* s5* & s15* & s2* s10* s3? s7? s17?)",
-    "thesis": "s2+ s14 (s19* & s13? s20? & s17+ s16? s11? & s21* s10* & s12* s9? s15? s7*)",
+    "astro": "a1 a2+ a3 a4+ a5 a6* (a10* & a7*) a8 a9",
+    "doc": "a1 a2 (a3? & a4* & a5*) a7* a6* a8?",
+    "web": "a1* a6? (a14* a5* & a15* & a2* a10* a3? a7? a17?)",
+    "thesis": "a2+ a14 (a19* & a13? a20? & a17+ a16? a11? & a21* a10* & a12* a9? a15? a7*)",
 }
 OUTER = {
-    "astro": "s1 s2+ s3 s4+ s5 s6* s7* s8 s9 & s10*",
-    "doc": "s3? & s4* & s1 s2 s5* s7* s6* s8?",
-    "web": "s6? s1* s14* s5* s3? s7? s17? & s15* & s2* s10*",
-    "thesis": "s13? s20? & s12* s7* & s17+ s16? & s2+ s14 s9? s21* s15? & s11? s19* s10*",
+    "astro": "a1 a2+ a3 a4+ a5 a6* a7* a8 a9 & a10*",
+    "doc": "a3? & a4* & a1 a2 a5* a7* a6* a8?",
+    "web": "a6? a1* a14* a5* a3? a7? a17? & a15* & a2* a10*",
+    "thesis": "a13? a20? & a12* a7* & a17+ a16? & a2+ a14 a9? a21* a15? & a11? a19* a10*",
 }
 BAGS = {
-    "astro": "s1 & s2+ & s3 & s4+ & s5 & s6* & s7* & s8 & s9 & s10*",
-    "doc": "(s6* | s7*) & s5* & s4* & s1 & s2 & s3? & s8?",
-    "web": "(s10* | s17? | s6?) & (s5* | s3? | s7?) & (s2* | s1*) & s14* & s15*",
-    "thesis": "(s11? | s9? | s19*) & (s10* | s20? | s15?) & s7* & s16? & s12* & s13? & s2+ & s14 & s21* & s17+",
+    "astro": "a1 & a2+ & a3 & a4+ & a5 & a6* & a7* & a8 & a9 & a10*",
+    "doc": "(a6* | a7*) & a5* & a4* & a1 & a2 & a3? & a8?",
+    "web": "(a10* | a17? | a6?) & (a5* | a3? | a7?) & (a2* | a1*) & a14* & a15*",
+    "thesis": "(a11? | a9? | a19*) & (a10* | a20? | a15?) & a7* & a16? & a12* & a13? & a2+ & a14 & a21* & a17+",
 }
 MODULUS = 2147483647
 
