@@ -90,11 +90,20 @@ def strings_from_markup(docs: DataFrame, col: str, mode: str = "xml", implied_en
 
 
 def published_xml(spark, sf_dir: str) -> DataFrame:
-    """The star schema as one XML document per customer: orders below it, line items below those, null fields left out."""
+    """(key, xml): the star schema as documents of bounded size, null fields left out. A region holds its nations; a
+    customer its orders, those their line items, and these their part and supplier. Customers name their nation by key:
+    inside it, one document would hold a share of all rows that grows with them."""
     from seqschema.sources.tables import table
 
-    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", F.struct("l_linenumber", "l_quantity", "l_returnflag").alias("line")).groupBy("l_orderkey").agg(F.array_sort(F.collect_list("line")).alias("lineitem"))
+    below = lambda key, *fields: F.when(F.col(key).isNotNull(), F.struct(key, *fields))
+    parts, suppliers = table(spark, sf_dir, "part").select("p_partkey", "p_brand"), table(spark, sf_dir, "supplier").select("s_suppkey", "s_nationkey")
+    lines = table(spark, sf_dir, "lineitem").join(parts, F.col("l_partkey") == F.col("p_partkey"), "left").join(suppliers, F.col("l_suppkey") == F.col("s_suppkey"), "left")
+    line = F.struct("l_linenumber", "l_quantity", "l_returnflag", below("p_partkey", "p_brand").alias("part"), below("s_suppkey", "s_nationkey").alias("supplier"))
+    lines = lines.groupBy("l_orderkey").agg(F.array_sort(F.collect_list(line)).alias("lineitem"))
     orders = table(spark, sf_dir, "orders").join(lines, F.col("o_orderkey") == F.col("l_orderkey"), "left")
     orders = orders.select("o_custkey", F.struct("o_orderkey", "o_orderstatus", "o_orderpriority", "lineitem").alias("order")).groupBy("o_custkey").agg(F.array_sort(F.collect_list("order")).alias("order"))
-    customers = table(spark, sf_dir, "customer").select("c_custkey").join(orders, F.col("c_custkey") == F.col("o_custkey"), "left")
-    return customers.select("c_custkey", F.to_xml(F.struct("c_custkey", "order"), {"rowTag": "customer"}).alias("xml"))
+    customers = table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey").join(orders, F.col("c_custkey") == F.col("o_custkey"), "left")
+    nations = table(spark, sf_dir, "nation").groupBy("n_regionkey").agg(F.array_sort(F.collect_list(F.struct("n_nationkey", "n_name"))).alias("nation"))
+    regions = table(spark, sf_dir, "region").join(nations, F.col("r_regionkey") == F.col("n_regionkey"), "left")
+    written = regions.select(F.concat_ws(":", F.lit("region"), "r_regionkey").alias("key"), F.to_xml(F.struct("r_regionkey", "r_name", "nation"), {"rowTag": "region"}).alias("xml"))
+    return written.unionByName(customers.select(F.concat_ws(":", F.lit("customer"), "c_custkey").alias("key"), F.to_xml(F.struct("c_custkey", "c_nationkey", "order"), {"rowTag": "customer"}).alias("xml")))

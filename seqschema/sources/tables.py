@@ -93,7 +93,13 @@ def bucket_labels(spark, sf):
     return strings_from_rows(table(spark, sf, "embeddings"), F.lit("bucket"), F.floor(F.col("vec_id") / 8), ["vec_id"], F.col("label"))
 
 
+def json_keys(spark, sf):
+    """The keys of each event's JSON object in their order in the text; without an object there is no string."""
+    keys = table(spark, sf, "events").select("event_id", F.json_object_keys("props").alias("seq")).where("seq IS NOT NULL")
+    return keys.select(F.lit("props").alias("model_key"), F.col("event_id").alias("string_id"), "seq")
+
+
 WORKLOADS = {
     "roles": roles, "userday": user_days, "session": sessions, "events": users, "flags": flags, "sorted_flags": sorted_flags, "status": statuses,
-    "priority": priorities, "line_kind": line_kinds, "record_field": record_fields, "bucket_label": bucket_labels,
+    "priority": priorities, "line_kind": line_kinds, "record_field": record_fields, "bucket_label": bucket_labels, "json_keys": json_keys,
 }
