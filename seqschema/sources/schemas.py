@@ -78,40 +78,98 @@ def _relaxng(node):
     return joined(Concat, parts) if tag == "group" else Empty() if tag == "empty" else None
 
 
-def _xsd(node):
+def _own(name: str) -> str:
+    """A name without its prefix."""
+    return name.rpartition(":")[2]
+
+
+def _xsd(node, named: dict, seen: frozenset = frozenset()):
+    """named: the schema's complex types and groups by (tag, name). One that holds itself adds nothing the second time."""
     tag, low, high = _local(node.tag), node.get("minOccurs", "1"), node.get("maxOccurs", "1")
+
+    def inside(holder, seen=seen) -> list:
+        return [x for x in (_xsd(c, named, seen) for c in holder) if x is not None]
+
+    def of(key) -> list:
+        return inside(named[key], seen | {key}) if key in named and key not in seen else []
+
+    if high == "0":
+        return None
     if tag == "element":
-        e = Symbol(re.sub(r"^.*:", "", node.get("name") or node.get("ref", "")))
+        e = Symbol(_own(node.get("name") or node.get("ref", "")))
     elif tag in ("sequence", "choice", "all"):
-        e = joined({"sequence": Concat, "choice": Choice, "all": Shuffle}[tag], [x for x in map(_xsd, node) if x is not None])
+        e = joined({"sequence": Concat, "choice": Choice, "all": Shuffle}[tag], inside(node))
+    elif tag == "group":
+        parts = of(("group", _own(node.get("ref", ""))))
+        if not parts:
+            return None
+        e = joined(Concat, parts)
+    elif tag in ("complexContent", "restriction"):
+        e = joined(Concat, inside(node))
+    elif tag == "extension":
+        e = joined(Concat, of(("complexType", _own(node.get("base", "")))) + inside(node))
     else:
         return None
     op = {("0", "1"): "?", ("1", "1"): ""}.get((low, high), "*" if low == "0" else "+")
     return Repeat(e, op) if op else e
 
 
+#: Deepest nesting of parameter entities, and the most characters that a text may grow to with them in place.
+DEPTH, LONGEST = 20, 10_000_000
+ENTITY = re.compile(r"""<!ENTITY\s+%\s+(\S+)\s+(?:"([^"]*)"|'([^']*)')\s*>""")
+REFERENCE = re.compile(r"%([\w.:-]+);")
+
+
+def _expanded(text: str) -> str:
+    """A DTD without comments, its own parameter entities put in place; of several values of a name the first counts.
+    References that stay (external ones, circles, texts that grow too long) are left as they are."""
+    text, values = re.sub(r"<!--.*?-->", "", text, flags=re.S), {}
+    for name, double, single in ENTITY.findall(text):
+        values.setdefault(name, double or single)
+    text = ENTITY.sub("", text)
+    for _ in range(DEPTH):
+        used = [m for m in REFERENCE.findall(text) if m in values]
+        if not used or len(text) + sum(len(values[m]) for m in used) > LONGEST:
+            break
+        text = REFERENCE.sub(lambda m: f" {values[m[1]]} " if m[1] in values else m[0], text)
+    return text
+
+
+def _dtd(text: str) -> list[tuple[str, str]]:
+    found = re.findall(r"<!ELEMENT\s+(\S+)\s+([^>]+)>", _expanded(text))
+    every, out = sorted({name for name, _ in found}), []
+    for name, body in found:
+        if "%" in body:
+            continue
+        if body.strip() == "ANY":  # any of the elements, any number of times
+            out.append((name, to_text(Repeat(joined(Choice, [Symbol(n) for n in every]), "*"))))
+            continue
+        body = "" if body.strip() == "EMPTY" else re.sub(r"#PCDATA\s*\|?", "", body).replace(",", " ").strip()
+        try:
+            out.append((name, to_text(parse_expr(re.sub(r"\(\s*\)[*+?]?", "()", body)))))
+        except ValueError:
+            continue
+    return out
+
+
 def content_models(text: str) -> list[tuple[str, str]]:
     """(element, expression) pairs of a schema text; what cannot be read gives none."""
-    out = []
     if "<!ELEMENT" in text:
-        for name, body in re.findall(r"<!ELEMENT\s+(\S+)\s+([^>]+)>", text):
-            body = re.sub(r"#PCDATA\s*\|?|EMPTY|ANY", "", body).replace(",", " ").strip()
-            try:
-                e = parse_expr(re.sub(r"\(\s*\)[*+?]?", "()", body))
-            except ValueError:
-                continue
-            out.append((name, to_text(e)))
-        return out
+        return _dtd(text)
     try:
         root = ET.fromstring(text)
     except ET.ParseError:
         return []
+    named, out = {(_local(n.tag), n.get("name")): n for n in root if _local(n.tag) in ("complexType", "group")}, []
     for node in root.iter():
         tag = _local(node.tag)
         if tag == "element" and "relaxng" in node.tag:
             out.append((node.get("name", ""), to_text(joined(Concat, [x for x in map(_relaxng, node) if x is not None]))))
-        elif tag == "element" and "XMLSchema" in node.tag and (body := node.find("{*}complexType")) is not None:
-            out.append((node.get("name", ""), to_text(joined(Concat, [x for x in map(_xsd, body) if x is not None]))))
+        elif tag == "element" and "XMLSchema" in node.tag and node.get("name"):
+            key = ("complexType", _own(node.get("type", "")))
+            body, seen = (named[key], frozenset({key})) if key in named else (node.find("{*}complexType"), frozenset())
+            if body is not None:
+                out.append((node.get("name"), to_text(joined(Concat, [x for x in (_xsd(c, named, seen) for c in body) if x is not None]))))
     return out
 
 

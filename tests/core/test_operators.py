@@ -25,6 +25,7 @@ SOME = [
     "coverage_line_kind", "model_example", "measures_example", "merge_equals_batch", "chunked_equals_whole", "stream_equals_batch", "planted_draws", "usage_proportions", "relaxng_round_trip", "tumbling_models",
     "usage_cube", "class_flags_examples", "validate_roles", "sliding_models",
     "coverage_fixed_models", "violations_fixed_model", "coverage_learners_roles", "chain_factor_sorted_flags", "compare_learners_roles", "published_xml_strings", "shape_measures", "automaton_example", "levels_example",
+    "usage_learned", "alphabet_sweep", "model_published_xml", "strings_json_keys", "model_json_keys",
 ]
 
 
@@ -129,6 +130,25 @@ def test_schema_readers():
     assert schemas.content_models(xsd) == [("r", "x+ (y? & z)")] and schemas.content_models("no schema") == []
 
 
+def test_dtd_entities():
+    dtd = """<!-- <!ELEMENT no (x)> --><!ENTITY % inline "b | %more;"><!ENTITY % more 'c'><!ENTITY % inline "z">
+        <!ELEMENT a (t, (%inline;)*)><!ELEMENT COMPANY (MANY, b?)><!ELEMENT e EMPTY><!ELEMENT any ANY><!ELEMENT out (%external;)>"""
+    found = dict(schemas.content_models(dtd))
+    assert found == {"a": "t (b | c)*", "COMPANY": "MANY b?", "e": "()", "any": "(COMPANY | a | any | e | out)*"}
+    assert schemas.content_models('<!ENTITY % x "%x;"><!ELEMENT a (%x;)><!ELEMENT b (c)>') == [("b", "c")]
+    bomb = "".join(f'<!ENTITY % e{i} "{f"%e{i + 1};" * 50}">' for i in range(15)) + "<!ELEMENT a (%e0;)><!ELEMENT b (c)>"
+    assert schemas.content_models(bomb) == [("b", "c")]
+
+
+def test_xsd_groups_and_extensions():
+    xsd = """<xs:schema xmlns:xs="http://www.w3.org/2001/XMLSchema" xmlns:t="urn:t"><xs:group name="g"><xs:choice><xs:element name="x"/><xs:element name="y"/></xs:choice></xs:group>
+        <xs:complexType name="base"><xs:sequence><xs:element name="a"/><xs:element name="gone" minOccurs="0" maxOccurs="0"/></xs:sequence></xs:complexType>
+        <xs:complexType name="more"><xs:complexContent><xs:extension base="t:base"><xs:sequence><xs:group ref="t:g" minOccurs="0" maxOccurs="unbounded"/></xs:sequence></xs:extension></xs:complexContent></xs:complexType>
+        <xs:element name="r" type="t:more"/><xs:element name="s" type="xs:string"/><xs:element name="q"><xs:complexType><xs:sequence><xs:element ref="t:r"/><xs:group ref="t:none"/></xs:sequence></xs:complexType></xs:element>
+        <xs:complexType name="own"><xs:complexContent><xs:extension base="t:own"><xs:sequence><xs:element name="z"/></xs:sequence></xs:extension></xs:complexContent></xs:complexType><xs:element name="o" type="t:own"/></xs:schema>"""
+    assert [x for x in schemas.content_models(xsd) if x[0] in ("r", "s", "q", "o")] == [("r", "a (x | y)*"), ("q", "r"), ("o", "z")]
+
+
 def test_sql_names(spark):
     registry.register(spark)
     r = spark.sql("SELECT expr_class('a & b').outer_shuffle AS o, shuffle_count('a b & c') AS s, expr_length('a* b') AS n, simplify('(a?)?') AS t, matches(array('a'), 'a?') AS m").first()
