@@ -316,14 +316,19 @@ def all_shuffle(s: Summary) -> dict:
     return {"expr": to_text(from_groups(groups)), "groups": groups, "n_groups": len(groups), "n_repairs": 0}
 
 
+#: The most symbols that each way of covering takes.
+COVERED = {"exact": 16, "repeated": 40, "greedy": float("inf")}
+
+
 def disjunctive_bag(s: Summary, branch_ops: str = "global", cover: str = "greedy") -> dict:
-    """Symbols that never share a string become branches of one disjunction; disjunctions are interleaved."""
+    """Symbols that never share a string become branches of one disjunction; disjunctions are interleaved. cover: how the
+    symbols are dealt to disjunctions. exact: the fewest that hold all; repeated: a largest independent set, then one of
+    the rest, and so on; greedy: the same with approximate sets. Beyond its bound an exact way is an error."""
     names = s.names
+    if len(names) > COVERED[cover]:
+        raise ValueError(f"cover={cover!r} takes at most {COVERED[cover]} symbols, not {len(names)}: use another cover")
     near = neighbours(names, s.before)
-    if cover == "exact" and len(names) <= 16:
-        masks = _least_cover(near, len(names))
-    else:
-        masks = independent_partition(near, (1 << len(names)) - 1, "ramsey" if cover == "greedy" or len(names) > 40 else "exact")
+    masks = _least_cover(near, len(names)) if cover == "exact" else independent_partition(near, (1 << len(names)) - 1, "ramsey" if cover == "greedy" else "exact")
     parts = []
     for own in sorted([names[i] for i in bits(m)] for m in masks):
         if len(own) == 1 or branch_ops == "global":

@@ -488,8 +488,8 @@ PUBLISHED_SQL = """WITH n AS (SELECT o_orderkey AS k, count(l_orderkey) AS lines
 #: Models of the published elements: fields keep their order, so each symbol stands by itself at its place.
 PUBLISHED_MODELS_SQL = f"""WITH x AS (SELECT DISTINCT element, seq FROM ({PUBLISHED_SQL}) WHERE seq <> ''), d AS (SELECT element, count(*) AS d FROM x GROUP BY 1),
     t AS (SELECT element, seq, unnest(string_split(seq, ' ')) AS sym, generate_subscripts(string_split(seq, ' '), 1) AS pos FROM x), c AS (SELECT element, seq, sym, count(*) AS cnt, min(pos) AS pos FROM t GROUP BY 1, 2, 3),
-    m AS (SELECT element, sym, max(pos) AS pos, max(cnt) > 1 AS many, count(*) < any_value(d) AS some FROM c JOIN d USING (element) GROUP BY 1, 2)
-    SELECT element AS model_key, string_agg(sym || CASE WHEN some AND many THEN '*' WHEN some THEN '?' WHEN many THEN '+' ELSE '' END, ' ' ORDER BY pos) AS expr FROM m GROUP BY 1"""
+    m AS (SELECT element, sym, max(pos) AS pos, max(cnt) > 1 AS has_more, count(*) < any_value(d) AS has_less FROM c JOIN d USING (element) GROUP BY 1, 2)
+    SELECT element AS model_key, string_agg(sym || CASE WHEN has_less AND has_more THEN '*' WHEN has_less THEN '?' WHEN has_more THEN '+' ELSE '' END, ' ' ORDER BY pos) AS expr FROM m GROUP BY 1"""
 
 
 def _holdout_sql(percent: int) -> str:

@@ -69,8 +69,9 @@ def test_every_learner_accepts_its_sample_and_stays_in_its_class():
         for options in ({"mis": "exact"}, {"mis": "greedy"}, {"same_level": "choice"}, {"mark_groups": True}):
             e = expr.parse_expr(solver.level_chain(s, **options)["expr"])
             assert all(expr.matches_general(w, e) for w in sample), (options, sample, expr.to_text(e))
-        tight = expr.parse_expr(solver.disjunctive_bag(s, branch_ops="tight", cover="exact")["expr"])
-        assert all(expr.matches_general(w, tight) for w in sample)
+        least, repeated, greedy = (solver.disjunctive_bag(s, branch_ops="tight", cover=c) for c in ("exact", "repeated", "greedy"))
+        assert all(expr.matches_general(w, expr.parse_expr(e["expr"])) for w in sample for e in (least, repeated, greedy))
+        assert least["n_groups"] <= min(repeated["n_groups"], greedy["n_groups"])
 
 
 def test_group_marks_change_nothing_and_sizes_are_ordered():
@@ -118,6 +119,15 @@ def test_class_examples_and_lattice():
     assert expr.to_text(expr.parse_expr("'a b'* 'it\\'s' | ()")) == "'a b'* 'it\\'s' | ()"
 
 
+def test_covers_are_exact_or_refused():
+    alone = lambda n: Summary.of([[f"s{i}"] for i in range(n)])
+    assert solver.disjunctive_bag(alone(16), cover="exact")["n_groups"] == solver.disjunctive_bag(alone(40), cover="repeated")["n_groups"] == 1
+    for cover, n in (("exact", 17), ("repeated", 41)):
+        with pytest.raises(ValueError, match="another cover"):
+            solver.disjunctive_bag(alone(n), cover=cover)
+        assert solver.disjunctive_bag(alone(n), cover="greedy")["n_groups"] >= 1
+
+
 def test_seventy_symbols():
     names = [f"s{i}" for i in range(70)]
     s = Summary.of([names, names[::-1]])
