@@ -8,12 +8,13 @@ length in bytes, so the place of any sequence follows from its number, and read
 the file, without a copy. A second stream beside it lists the shard's documents: doc_id, first id, number of ids. Files
 are written under a temporary name and renamed, so a lost or repeated task leaves whole files only.
 
-The tokenizers library encodes. It gets the distinct strings between white space that a worker does not know yet, many
-at a time with spaces between them; its offsets say which ids are whose. This gives the ids of the whole text because
-neither its normaliser nor its pretokens reach across white space. Where the tokenizer file has the steps this module
-knows, the library's normaliser works on all new strings at once, they are cut into pretokens here, and the library's
-model gets the distinct pretokens it has not seen. Strings with a special token, with a control character, or with a
-character that the two regex libraries put into different classes (found by a probe) take all steps of the library.
+The tokenizers library encodes. Where the tokenizer file has the steps this module knows, the characters of a batch are
+looked up in tables of their class and lower case, cut into pretokens by array operations and made distinct; the
+library's model gets those it has not seen, many at a time with spaces between them, and the ids of all are gathered.
+Only characters for which a probe of the library gives this class and this lower case, alone and beside others, are in
+the tables. A text with another one, or with a special token, is cut at white space; its strings without such a
+character take the same way, the others are encoded by all steps of the library, whose offsets say which ids are whose.
+This gives the ids of the whole text, because neither its normaliser nor its pretokens reach across white space.
 
 Defined results: null counts as the empty text (just the end id). Equal doc_ids follow each other, by the crc32 of
 their ids, then by the ids; an id that holds more rows than a shard has shards of its own by ranges of that crc32. A
@@ -23,17 +24,19 @@ null doc_id comes first, in the same way. Repeated rows are written as often as
 from __future__ import annotations
 
 import functools
+import itertools
 import json
 import os
 import re
+import unicodedata
 import uuid
 import zlib
+from collections import defaultdict
 from collections.abc import Iterable, Iterator, Sequence
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.fs
-import regex
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -42,11 +45,13 @@ from pyspark.sql import types as T
 from seqschema.llm.common import append_columns, bound_batches, fresh_dir, written
 
 SEQUENCE, BATCH, END = 2048, 256, 1
-#: Bytes of text for each shard. Strings a worker remembers, the longest of them, strings encoded in one call.
+#: Bytes of text for each shard. Units a worker remembers, the longest of them, units encoded in one call.
 SHARD_BYTES, KNOWN, LONG, CALL = 1 << 30, 600_000, 64, 256
 #: The tokenizer file's steps before the model.
 STEPS = ["NFC", r"\s+", "Lowercase"], r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
-PRETOKENS, ASCII_PRETOKENS = regex.compile(STEPS[1]), re.compile("'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
+PRETOKENS = re.compile(r"[^\W\d_]+|\d|'(?:s|t|re|ve|m|ll|d)|(?:[^\s\w]|_)+")
+#: Classes of characters; those not yet looked up are zero.
+SPACE, LETTER, DIGIT, OTHER, ODD = range(1, 6)
 
 #: White space of Python that the tokenizer takes for symbols: texts that hold it are cut by the tokenizer's own rule.
 ODD_SPACES = re.compile("[\x1c-\x1f]")
@@ -62,14 +67,14 @@ def default_path() -> str:
 class WordEncoder:
     def __init__(self, path: str) -> None:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer, normalizers, pre_tokenizers
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.library, self.model = Tokenizer.from_file(path), Tokenizer.from_file(path)
         for x in (self.library, self.model):
             x.no_truncation()
             x.no_padding()
-        # the model alone, for pretokens between spaces
-        self.model.normalizer = normalizers.Lowercase()
+        # the model alone, for pretokens in lower case between spaces
+        self.model.normalizer = None
         self.model.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
@@ -77,80 +82,124 @@ class WordEncoder:
         split = [x["pattern"]["Regex"] for x in (spec["pre_tokenizer"] or {}).get("pretokenizers", []) if x["type"] == "Split"]
         self.knows_steps = (steps, *split) == STEPS
         self.special = re.compile("|".join(re.escape(x["content"]) for x in spec["added_tokens"]) or r"(?!)")
-        self.agreed: dict[str, bool] = {}
         self.kind = np.uint16 if self.library.get_vocab_size() <= 1 << 16 else np.uint32
-        self.end = self.kind(END).tobytes()
-        self.known: dict[str, bytes] = {}
-        self.parts: dict[str, bytes] = {}
-
-    def cut(self, ids: list[int], owner: np.ndarray, pieces: Sequence[str]) -> Iterable[tuple[str, bytes]]:
-        """Each piece with its ids. owner: the number of each id's piece, ascending."""
-        data = np.array(ids, np.uint32).astype(self.kind).tobytes()
-        edges = np.searchsorted(owner, np.arange(len(pieces) + 1)) * np.dtype(self.kind).itemsize
-        edges = edges.tolist()
-        return zip(pieces, map(data.__getitem__, map(slice, edges, edges[1:])), strict=False)
-
-    def learn(self, pieces: Sequence[str]) -> None:
-        """The ids of distinct strings without white space, by one call of the library for all of them."""
-        size = np.fromiter(map(len, pieces), np.int64, len(pieces)) + 1
-        got = self.library.encode(" ".join(pieces), add_special_tokens=False)
-        first = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
-        self.known.update(self.cut(got.ids, np.searchsorted(np.cumsum(size), first, "right"), pieces))
-
-    def agrees(self, c: str) -> bool:
-        """Whether both regex libraries put a character into the same class, and the normaliser keeps it one string."""
-        if (same := self.agreed.get(c)) is None:
-            low = self.library.normalizer.normalize_str(f"a{c}1{c}!{c}'{c}{c}a")
-            split = [low[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(low)]
-            same = self.agreed[c] = c.isprintable() and not c.isspace() and " " not in low and split == PRETOKENS.findall(low)
-        return same
-
-    def learn_pretokens(self, pieces: Sequence[str]) -> None:
-        """The same by their distinct pretokens, for strings of characters that agree."""
-        joined = " ".join(pieces)
-        lower = (joined.lower() if joined.isascii() else self.library.normalizer.normalize_str(joined)).split(" ")
-        if len(lower) != len(pieces):
-            return self.learn(pieces)
-        found = list(map((ASCII_PRETOKENS if joined.isascii() else PRETOKENS).findall, lower))
-        if len(self.parts) > KNOWN:
-            self.parts = {}
-        new = [x for x in set().union(*found) if x not in self.parts]
-        for k in range(0, len(new), CALL):
-            some = new[k : k + CALL]
-            got = self.model.encode(" ".join(some), add_special_tokens=False)
-            self.parts.update(self.cut(got.ids, np.array(got.word_ids, np.int64), some))
-        look = self.parts.__getitem__
-        self.known.update(zip(pieces, (b"".join(map(look, x)) for x in found), strict=True))
-
-    def encode(self, texts: Iterable[str]) -> list[bytes]:
-        """The ids of each text and the end id, as little-endian numbers."""
-        split = [list(filter(None, SPACES.split(t))) if ODD_SPACES.search(t) else t.split() for t in texts]
-        here = set().union(*split)
-        new = [p for p in here if p not in self.known]
-        if len(self.known) + len(new) > KNOWN:
-            self.known, new = {}, list(here)
-        short = [p for p in new if len(p) <= LONG]
-        odd = {c for c in set("".join(short)) if not self.agrees(c)}
+        self.classes, self.lower = np.zeros(0x110000, np.uint8), np.arange(0x110000, dtype=np.uint32)
+        self.forget()
+
+    def forget(self) -> None:
+        """Numbers of pretokens (in UTF-32) and of strings, and by number where their ids are. Number 0 is the end id."""
+        self.number: dict[bytes | str, int] = defaultdict(itertools.count(1).__next__)
+        self.first, self.length = np.zeros(1, np.int64), np.ones(1, np.int64)
+        self.flat = np.array([END], self.kind)
+
+    def look_up(self, c: str) -> None:
+        """Class and lower case of a character, where the library agrees and never composes it with another."""
+        at = ord(c)
+        if c.isspace():
+            self.classes[at] = ODD if ODD_SPACES.match(c) else SPACE
+            return
+        probe = f"a{c}1{c}!{c}'{c}{c}a"
+        low = self.library.normalizer.normalize_str(probe)
+        split = [low[a:b] for _, (a, b) in self.library.pre_tokenizer.pre_tokenize_str(low)]
+        alone = c.isprintable() and unicodedata.category(c)[0] != "M" and not "\u1100" <= c <= "\u11ff" and len(c.lower()) == 1
+        if not alone or low != probe.lower() or split != PRETOKENS.findall(low):
+            self.classes[at] = ODD
+            return
+        self.classes[at] = DIGIT if c.isdecimal() else LETTER if c.isalnum() else OTHER
+        self.lower[at] = ord(c.lower())
+
+    def classed(self, codes: np.ndarray) -> np.ndarray:
+        """The class of each character."""
         if not self.knows_steps:
-            whole, short = short, []
-        elif odd or self.special.search(" ".join(short)):
-            whole = [p for p in short if self.special.search(p) or not odd.isdisjoint(p)]
-            short = list(set(short).difference(whole))
-        else:
-            whole = []
-        for k in range(0, len(whole), CALL):
-            self.learn(whole[k : k + CALL])
-        for some in ([p for p in short if p.isascii()], [p for p in short if not p.isascii()]):
-            if some:
-                self.learn_pretokens(some)
-        once = [p for p in new if len(p) > LONG]
-        for p in once:
-            self.learn([p])
-        look = self.known.__getitem__
-        out = [b"".join(map(look, pieces)) + self.end for pieces in split]
-        for p in once:
-            del self.known[p]
-        return out
+            return np.full(len(codes), ODD, np.uint8)
+        found = self.classes[codes]
+        if not found.all():
+            for c in np.unique(codes[found == 0]).tolist():
+                self.look_up(chr(c))
+            found = self.classes[codes]
+        return found
+
+    def numbers(self, text: str) -> tuple[np.ndarray, np.ndarray]:
+        """The place and the number of each pretoken of a text that has nothing odd."""
+        codes = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+        classes, low = self.classed(codes), self.lower[codes]
+        begins = np.ones(len(codes), bool)
+        begins[1:] = (classes[1:] != classes[:-1]) | (classes[1:] == DIGIT)
+        quotes = np.flatnonzero(begins & (low == ord("'")))
+        one, two = (low[np.minimum(quotes + k, len(low) - 1)] for k in (1, 2))
+        pairs = np.isin(one * np.uint32(256) + two, [ord(a) << 8 | ord(b) for a, b in ("re", "ve", "ll")]) & (quotes + 2 < len(low)) & (one < 256) & (two < 256)
+        short = np.isin(one, [ord(c) for c in "stmd"]) & (quotes + 1 < len(low))
+        begins[quotes[pairs | short] + 1] = False
+        ends = np.concatenate((quotes[short] + 2, quotes[pairs] + 3))
+        begins[ends[ends < len(low)]] = True
+        words = classes != SPACE
+        places = np.flatnonzero(begins & words)
+        data = low[words]
+        edges = np.append(np.flatnonzero(begins[words]), len(data)).astype(np.int64) * 4
+        pieces = pa.Array.from_buffers(pa.large_binary(), len(places), [None, pa.py_buffer(edges), pa.py_buffer(data)]).dictionary_encode()
+        distinct = pieces.dictionary.to_pylist()
+        return places, np.fromiter(map(self.number.__getitem__, distinct), np.int32, len(distinct))[pieces.indices.to_numpy()]
+
+    def learn(self, units: Sequence[bytes | str]) -> None:
+        """The ids of pretokens and strings that just got their numbers, in this order."""
+        first, length, flat = np.zeros(len(units), np.int64), np.zeros(len(units), np.int64), [self.flat]
+        end = len(self.flat)
+        for kind, encoder in ((bytes, self.model), (str, self.library)):
+            which = [k for k, u in enumerate(units) if isinstance(u, kind)]
+            for k in range(0, len(which), CALL):
+                at = which[k : k + CALL]
+                some = [units[i] for i in at]
+                got = encoder.encode(b" \0\0\0".join(some).decode("utf-32-le") if kind is bytes else " ".join(some), add_special_tokens=False)
+                if kind is bytes:
+                    owner = np.array(got.word_ids, np.int64)
+                else:
+                    start = np.fromiter((a for a, _ in got.offsets), np.int64, len(got.ids))
+                    owner = np.searchsorted(np.cumsum([len(x) + 1 for x in some]), start, "right")
+                n = np.bincount(owner, minlength=len(some))
+                length[at], first[at] = n, end + np.cumsum(n) - n
+                flat.append(np.array(got.ids, self.kind))
+                end += len(got.ids)
+        self.first, self.length, self.flat = np.concatenate((self.first, first)), np.concatenate((self.length, length)), np.concatenate(flat)
+
+    def odd(self, text: str) -> bool:
+        return bool(self.special.search(text)) or bool((self.classed(np.frombuffer(text.encode("utf-32-le"), np.uint32)) == ODD).any())
+
+    def strings(self, text: str) -> np.ndarray:
+        """The numbers of an odd text: of the pretokens of its strings, but of the whole string where that is odd."""
+        out = [np.zeros(0, np.int32)]
+        pieces = list(filter(None, SPACES.split(text))) if ODD_SPACES.search(text) else text.split()
+        for odd, some in itertools.groupby(pieces, self.odd):
+            if odd:
+                out.append(np.fromiter(map(self.number.__getitem__, some), np.int32))
+            else:
+                out.append(self.numbers(" ".join(some))[1])
+        return np.concatenate(out)
+
+    def encode(self, texts: Sequence[str]) -> list[bytes]:
+        """The ids of each text and the end id, as little-endian numbers."""
+        if max(len(self.length), len(self.flat) >> 4) > KNOWN:
+            self.forget()
+        before = len(self.number)
+        joined = "\n".join(texts)
+        odd = set(itertools.compress(range(len(texts)), map(self.odd, texts))) if self.odd(joined) else set()
+        plain = ["" if k in odd else t for k, t in enumerate(texts)] if odd else texts
+        places, numbers = self.numbers("\n".join(plain) if odd else joined)
+        edges = np.searchsorted(places, np.cumsum([len(t) + 1 for t in plain], dtype=np.int64))
+        if odd:
+            parts = np.split(numbers, edges[:-1])
+            parts = [self.strings(t) if k in odd else parts[k] for k, t in enumerate(texts)]
+            numbers, edges = np.concatenate(parts), np.cumsum([len(x) for x in parts], dtype=np.int64)
+        new = list(itertools.islice(reversed(self.number), len(self.number) - before))[::-1]
+        self.learn(new)
+        for u in new:
+            if len(u) > (LONG if isinstance(u, str) else 4 * LONG):
+                del self.number[u]
+        every = np.insert(numbers, edges, 0)
+        length = self.length[every]
+        after = np.cumsum(length)
+        data = self.flat[np.repeat(self.first[every] - after + length, length) + np.arange(length.sum())].tobytes()
+        cuts = after[edges + np.arange(len(edges))] * self.flat.itemsize
+        return [data[a:b] for a, b in itertools.pairwise([0, *cuts.tolist()])]
 
 
 @functools.lru_cache(maxsize=2)

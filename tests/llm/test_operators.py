@@ -108,6 +108,18 @@ def test_token_files(docs, texts):
     assert back == stream
 
 
+def test_word_encoder_equals_library_and_learns_a_pretoken_once():
+    lib, enc, rnd = Tokenizer.from_file(token_files.default_path()), token_files.WordEncoder(token_files.default_path()), random.Random(8)
+    enc.encode(["Word, word. WORD! (word) word's", "a word-word?"])
+    assert len(enc.number) == 10  # word , . ! ( ) 's a - ? whatever string or case they stand in
+    parts = ["a", "The", " ", "\n", "é", "😀", "<|endoftext|>", "'s", "'S", "'ll", "'r", "'", "12", "_", "\x00", "\x1c", "\x85", "\u0301", "中", "!!", "Σ", "ΑΣ", "ς", "İ", "ẞ", "\u212a", "²", "½", "\u1112\u1161", "\u11ab", "각", "\u1fbb", "\u037e", "ǅ", "٣", "x" * 70]
+    for _ in range(60):
+        texts = ["".join(rnd.choice(parts if k % 2 else parts[:20]) for _ in range(rnd.randrange(25))) for k in range(30)]
+        for text, got in zip(texts, enc.encode(texts), strict=True):
+            assert got == b"".join(i.to_bytes(2, "little") for i in [*lib.encode(text, add_special_tokens=False).ids, 1]), ascii(text)
+    assert all(len(u) <= 256 for u in enc.number) and enc.encode([]) == []
+
+
 def naive_base(text):
     email = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
     ip = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
